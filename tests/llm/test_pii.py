@@ -1,0 +1,90 @@
+import hashlib
+import random
+import re
+
+import numpy as np
+
+from overlapix.llm import pii
+from tests.llm.helpers import EDGES, docs_frame
+
+CASES = [
+    (1, "mail a.b+c@x-y.example.com, or a@b@c.de or @x.y or q@nodot."),
+    (2, "at 10.0.0.1 and 1.2.3.4.5.6.7.8 and 300.1.2.3 and 0255.0.0.01 x"),
+    (3, "card 4111 1111 1111 1111 and 4111111111111112 and 7536784127813050 4845168114407329 12"),
+    (4, "call +1 (017) 555-7713 now +49 30 1 or + 1234567890 or +1234567890123456 ü +44.20.7946.0958"),
+    (5, "reach me: joe [at] mail (dot) com; phone (017) 555-7713 and email"),
+]
+
+
+def brute(text):
+    text = text or ""
+    out = []
+    for m in re.finditer(r"[A-Za-z0-9._%+-]+@[A-Za-z0-9-]+(\.[A-Za-z0-9-]+)+", text):
+        out.append((m.start(), 0, m.end()))
+    for m in re.finditer(r"[0-9]+(\.[0-9]+)(\.[0-9]+)(\.[0-9]+)", text):
+        if all(int(p) <= 255 for p in m[0].split(".")):
+            out.append((m.start(), 1, m.end()))
+    for m in re.finditer(r"[0-9]([\x20-]?[0-9])+", text):
+        d = re.sub("[^0-9]", "", m[0])
+        total = sum(sum(divmod(2 * int(c), 10)) if i % 2 else int(c) for i, c in enumerate(d[::-1]))
+        if 14 <= len(d) <= 19 and total % 10 == 0:
+            out.append((m.start(), 2, m.end()))
+    for m in re.finditer(r"\+[0-9][\x20().0-9-]+[0-9]", text):
+        if 10 <= len(re.sub("[^0-9]", "", m[0])) <= 15:
+            out.append((m.start(), 3, m.end()))
+    out.sort()
+    return [sum(k == n for _, k, _ in out) for n in range(4)], ",".join(f"{pii.KINDS[k]}:{s}:{e}" for s, k, e in out)
+
+
+def check(spark, rows):
+    got = sorted(pii.personal_data(docs_frame(spark, rows)).collect(), key=lambda r: repr((r.doc_id, r.spans)))
+    assert len(got) == len(rows)
+    want = sorted(((i, *brute(t)) for i, t in rows), key=repr)
+    base = sorted([(r.doc_id, [r.n_email, r.n_ip, r.n_card, r.n_phone], r.base_sha256) for r in got], key=repr)
+    assert base == sorted([(i, n, hashlib.sha256(s.encode()).hexdigest()) for i, n, s in want], key=repr)
+    for i, _, s in want:
+        assert any(r.doc_id == i and set(filter(None, s.split(","))) <= set(r.spans.split(",")) for r in got)
+    return got
+
+
+def test_cases_and_edges(spark):
+    check(spark, CASES + EDGES)
+    assert pii.personal_data(docs_frame(spark, [])).count() == 0
+
+
+def test_random_texts(spark):
+    rng = random.Random(6)
+    rows = [(i, "".join(rng.choice("0123456789012345 .-+()@ab_%é") for _ in range(rng.randrange(60)))) for i in range(3000)]
+    check(spark, rows)
+
+
+def test_documents(spark):
+    df = spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text")
+    check(spark, [tuple(r) for r in df.collect()])
+
+
+def test_reliabilities_are_found():
+    rng = np.random.default_rng(1)
+    right = [0.95, 0.9, 0.8, 0.75, 0.85, 0.7]
+    truth = rng.random(20_000) < 0.4
+    cast = np.where(rng.random((20_000, 6)) < right, np.where(truth, 1, -1)[:, None], np.where(truth, -1, 1)[:, None])
+    codes, counts = np.unique([pii.code_of("ip", tuple(v)) for v in cast.tolist()], return_counts=True)
+    p, found = pii.expectation_maximisation(codes, counts)
+    assert np.allclose(list(found.values()), right, atol=0.04)
+    by = dict(zip(codes.tolist(), p.tolist(), strict=True))
+    guess = np.array([by[pii.code_of("ip", tuple(v))] > 0.5 for v in cast.tolist()])
+    assert (guess == truth).mean() > 0.95
+
+
+def test_codes_round_trip():
+    for c in range(pii.N_CODES):
+        kind, cast = pii.votes_of(c)
+        assert pii.code_of(pii.KINDS[kind], cast) == c
+
+
+def test_redaction(spark):
+    df = spark.createDataFrame([(i + 100, t, 1.5) for i, t in CASES] + [(i, t, 1.5) for i, t in EDGES], "doc_id bigint, text string, code double")
+    out = {(r.doc_id, r.text) for r in pii.redact(df).collect()}
+    texts = dict(out)
+    assert "<EMAIL>" in texts[101] and "<IP>" in texts[102] and "4111 1111" not in texts[103] and "<PHONE> now" in texts[104]
+    assert set(EDGES) <= out

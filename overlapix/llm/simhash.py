@@ -93,7 +93,7 @@ def choose_axes(n: int, radius: int) -> int:
         choices = comb(axes, radius)
         return choices * n * 1.0 + choices * n * n / 2 * 2.0 ** (-whole * (axes - radius) / axes) * 0.02
 
-    return min(range(radius + 1, radius + 9), key=cost)
+    return min(range(radius + 2, radius + 9), key=cost)
 
 
 def _cells(axes: int, radius: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:

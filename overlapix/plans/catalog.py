@@ -2,7 +2,7 @@
 
 from __future__ import annotations
 
-from overlapix.plans import catalog_hash, catalog_sets  # noqa: F401
+from overlapix.plans import catalog_hash, catalog_relational, catalog_sets  # noqa: F401
 from overlapix.plans.registry import ORACLES, QUERIES
 
 __all__ = ["ORACLES", "QUERIES"]

@@ -391,10 +391,10 @@ def record_match(spark: SparkSession, d: str) -> DataFrame:
     return s.groupBy(F.array_join(F.transform("elems", lambda e: e.cast("string")), "-").alias("key")).agg(F.count("*").alias("n"), F.min("id").alias("first_id"))
 
 
-@query(O.query([*_bucket_sql("opm1", 1, 48)], "SELECT q_id, x_id, CAST(a AS BIGINT) AS a, quality FROM ov SEMI JOIN cand USING (q_id, x_id) LEFT JOIN labels ON doc_id = x_id WHERE a >= ceil(0.9 * fq)"))
+@query(O.query([*_bucket_sql("opm1", 1, 48)], "SELECT q_id, x_id, CAST(a AS BIGINT) AS a, coalesce(quality, -1) AS quality FROM ov SEMI JOIN cand USING (q_id, x_id) LEFT JOIN labels ON doc_id = x_id WHERE a >= ceil(0.9 * fq)"))
 def passage_containment(spark: SparkSession, d: str) -> DataFrame:
     labels = load(spark, d, "labels").select(F.col("doc_id").alias("x_id"), "quality")
-    return containment_join(spark, d).join(labels, "x_id", "left").select("q_id", "x_id", "a", "quality")
+    return containment_join(spark, d).join(labels, "x_id", "left").select("q_id", "x_id", "a", F.coalesce("quality", F.lit(-1)).alias("quality"))
 
 
 @query(O.query([*O.base("docs_w"), O.draws(48, SEED), f"code AS MATERIALIZED ({O.raw('inc')})", "b AS MATERIALIZED (SELECT id, t // 4 AS j, string_agg(CAST(code AS VARCHAR), '-' ORDER BY t) AS key FROM code GROUP BY id, t // 4)", "c AS (SELECT DISTINCT x.id AS id1, y.id AS id2 FROM b x JOIN b y ON x.j = y.j AND x.key = y.key AND x.id < y.id)", "o AS (SELECT id1, id2, count(*) AS a FROM c JOIN inc x ON x.id = id1 JOIN inc y ON y.id = id2 AND y.e = x.e GROUP BY id1, id2)"], "SELECT id1, id2, round(a / (s.f + t.f - a), 6) AS value FROM o JOIN sets s ON s.id = id1 JOIN sets t ON t.id = id2 WHERE a / (s.f + t.f - a) >= 0.8"))

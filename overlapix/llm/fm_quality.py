@@ -10,6 +10,7 @@ rows and sent to the executors; its size depends on its parameters alone.
 
 from __future__ import annotations
 
+import math
 import re
 import zlib
 from collections import Counter
@@ -38,50 +39,53 @@ _ALPHA = re.compile(r"[^\W\d_]")
 _MARKS = re.compile(r"[!?$%&*#=+@^~<>{}\[\]|\\/_]{2,}")
 
 
-def statistics(text: str, stated: int | None) -> dict[str, float]:
+def statistics(text: str, stated: int | None, found: list[str]) -> dict[str, float]:
+    """``found`` are the text's words of letters."""
     chars = len(text)
     words = text.split()
     n = max(1, len(words))
     lines = [x for x in text.split("\n") if x.strip()]
     counts = Counter(words)
-    pairs = Counter(zip(words, words[1:], strict=False))
-    letters = len(_ALPHA.findall(text))
+    letters = sum(map(len, found))
     size = max(1, chars)
-    upper = sum(map(str.isupper, words))
+    spaces = text.count(" ")
     return {
         "chars": chars, "words": len(words), "lines": len(lines), "mean_word": chars / n,
-        "upper": upper / n, "digit": sum(map(str.isdigit, text)) / size if any(map(text.__contains__, "0123456789")) else 0.0,
-        "symbol": (chars - letters - text.count(" ") - text.count("\n")) / size, "space": text.count(" ") / size,
+        "upper": sum(map(str.isupper, words)) / n, "digit": sum(map(text.count, "0123456789")) / size,
+        "symbol": (chars - letters - spaces - text.count("\n")) / size, "space": spaces / size,
         "distinct": len(counts) / n, "top_word": max(counts.values(), default=0) / n,
-        "repeat_bigram": 1 - len(pairs) / max(1, len(words) - 1) if len(words) > 1 else 0.0,
+        "repeat_bigram": 1 - len(set(zip(words, words[1:], strict=False))) / max(1, len(words) - 1) if len(words) > 1 else 0.0,
         "repeat_line": 1 - len(set(lines)) / max(1, len(lines)),
         "stop_end": sum(x.rstrip()[-1:] in (".", "!", "?", "…", "。") for x in lines) / max(1, len(lines)),
         "pipe": min(1.0, text.count("|") / n), "mark_run": min(1.0, len(_MARKS.findall(text)) / n),
-        "exclaim": min(1.0, text.count("!") / n), "no_letter": sum(not _ALPHA.search(w) for w in counts) / max(1, len(counts)),
+        "exclaim": min(1.0, text.count("!") / n), "no_letter": sum(not w.isalpha() and not _ALPHA.search(w) for w in counts) / max(1, len(counts)),
         "stated": abs((chars if stated is None else stated) - chars),
     }
 
 
+def _slot(word: str, known: dict[str, int]) -> int:
+    if len(known) > 500_000:
+        known.clear()
+    slot = known[word] = zlib.crc32(word.encode("utf-8", "surrogatepass")) % WORD_SLOTS
+    return slot
+
+
 def features(text: str | None, stated: int | None, known: dict[str, int]) -> tuple[np.ndarray, np.ndarray]:
     """Slots and values of one text.  ``known`` keeps the slots of words seen."""
     text = text or ""
+    found = WORD.findall(text.lower())
     slots: list[int] = []
-    for i, (name, x) in enumerate(statistics(text, stated).items()):
-        r = int(np.sqrt(min(1.0, max(0.0, x))) * (RANGES - 1)) if name in _SHARES else min(RANGES - 1, int(2 * np.log1p(x)))
+    for i, (name, x) in enumerate(statistics(text, stated, found).items()):
+        r = int(math.sqrt(min(1.0, max(0.0, x))) * (RANGES - 1)) if name in _SHARES else min(RANGES - 1, int(2 * math.log1p(x)))
         slots.append(WORD_SLOTS + i * RANGES + r)
-    counts = Counter(WORD.findall(text.lower()))
-    values = [1.0] * len(slots)
+    values = np.ones(len(slots), np.float32)
+    counts = Counter(found)
     if counts:
-        norm = 1.0 / np.sqrt(sum(np.log1p(c) ** 2 for c in counts.values()))
-        for w, c in counts.items():
-            slot = known.get(w)
-            if slot is None:
-                if len(known) > 500_000:
-                    known.clear()
-                slot = known[w] = zlib.crc32(w.encode("utf-8", "surrogatepass")) % WORD_SLOTS
-            slots.append(slot)
-            values.append(float(np.log1p(c) * norm))
-    return np.array(slots, np.int32), np.array(values, np.float32)
+        weight = np.log1p(np.fromiter(counts.values(), np.float32, len(counts)))
+        values = np.concatenate([values, weight / np.sqrt((weight * weight).sum())])
+        get = known.get
+        slots += [s if (s := get(w)) is not None else _slot(w, known) for w in counts]
+    return np.array(slots, np.int32), values
 
 
 @dataclass

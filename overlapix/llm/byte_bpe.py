@@ -190,6 +190,20 @@ def _encode_batches(path: str, pattern: str | None) -> Callable[[Iterator[pa.Rec
     return run
 
 
+def _round_batches(path: str, pattern: str | None) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        tool, table = encoder(path, pattern), byte_table(path, pattern)
+        for batch in batches:
+            for part in small_parts(batch, 0):
+                texts = [x or "" for x in part.column(0).to_pylist()]
+                ids = tool.encode(texts)
+                back = [table.decode(np.frombuffer(x, "<u4")) for x in ids]
+                same = [b == t.encode("utf-8", "surrogatepass") for b, t in zip(back, texts, strict=True)]
+                yield pa.RecordBatch.from_arrays([*part.columns[1:], pa.array(ids, pa.binary()), pa.array(back, pa.binary()), pa.array(same, pa.bool_())], names=[*part.schema.names[1:], "ids", "decoded", "round_trip"])
+
+    return run
+
+
 def _decode_batches(path: str, pattern: str | None) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         table = byte_table(path, pattern)
@@ -225,6 +239,13 @@ def encode_texts(docs: DataFrame, path: str, pattern: str | None = None, text: s
     return docs.select(F.col(text).cast("string").alias("__text"), *keep).mapInArrow(_encode_batches(path, pattern), _ddl(kept, "ids binary"))
 
 
+def encode_and_decode(docs: DataFrame, path: str, pattern: str | None = None, text: str = "text", keep: tuple[str, ...] = ("doc_id",)) -> DataFrame:
+    """``keep`` columns, ``ids``, ``decoded`` and ``round_trip`` in one pass, so that one
+    worker a task holds the tables; otherwise as :func:`encode_texts` and :func:`decode_ids`."""
+    kept = docs.select(*keep)
+    return docs.select(F.col(text).cast("string").alias("__text"), *keep).mapInArrow(_round_batches(path, pattern), _ddl(kept, "ids binary, decoded binary, round_trip boolean"))
+
+
 def decode_ids(encoded: DataFrame, path: str, pattern: str | None = None) -> DataFrame:
     """Adds ``decoded`` BINARY: the bytes that ``ids`` stand for, joined before any
     reading as characters, so characters split over tokens come back whole."""

@@ -50,8 +50,7 @@ def op7_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op8_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
     path, pattern = public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN
-    encoded = byte_bpe.encode_texts(_table(spark, sf_dir, "documents"), path, pattern)
-    done = byte_bpe.decode_ids(encoded, path, pattern)
+    done = byte_bpe.encode_and_decode(_table(spark, sf_dir, "documents"), path, pattern)
     return done.select("doc_id", (F.octet_length("ids") / 4).cast("bigint").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 

@@ -50,6 +50,14 @@ def test_round_trip_and_offsets(spark, reference):
             assert piece in text[s:e].encode() and (len(piece) == len(text[s:e].encode()) or e - s <= len(piece) + 1)
 
 
+def test_one_pass_is_the_same(spark):
+    df = docs_frame(spark, EDGES)
+    two = byte_bpe.decode_ids(byte_bpe.encode_texts(df, RANKS, P.PATTERN), RANKS, P.PATTERN)
+    one = byte_bpe.encode_and_decode(df, RANKS, P.PATTERN)
+    rows = lambda x: sorted(((r.doc_id, bytes(r.ids), bytes(r.decoded)) for r in x.collect()), key=repr)
+    assert rows(one) == rows(two) and one.where("round_trip").count() == len(EDGES)
+
+
 def test_records_round_trip(spark):
     rows = EDGES + [(100 - i, f"text {i} " * (i % 7)) for i in range(60)]
     manifest = records.write_records(docs_frame(spark, rows), JSON)

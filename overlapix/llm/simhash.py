@@ -32,7 +32,7 @@ SEGMENTS = 64 // SEGMENT_BITS
 #: Collision entropy in bits of one two-bit segment's count.
 SEGMENT_ENTROPY = 1.415
 #: Buckets above this size are walked by search from seeds instead of by lags.
-SMALL_BUCKET = 48
+SMALL_BUCKET = 128
 #: Comparisons held in memory at once.
 BLOCK = 1 << 21
 

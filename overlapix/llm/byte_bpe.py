@@ -32,6 +32,8 @@ os.environ.setdefault("TOKENIZERS_PARALLELISM", "false")
 
 #: Pieces kept per worker; a full table starts anew, results never depend on it.
 CACHE_PIECES = 600_000
+#: The same beside the tables of a decoder.
+ROUND_TRIP_PIECES = 200_000
 #: Below this character the classes of letters and digits are the same in every Unicode version.
 LATIN_END = "\u0250"
 #: Fixed value: the public pattern of byte-level BPE that cuts a text into words.
@@ -70,8 +72,8 @@ def load_tokenizer(path: str, pattern: str | None = None) -> Tokenizer:
 class PieceEncoder:
     """text -> ids as little-endian unsigned 32-bit bytes."""
 
-    def __init__(self, tok: Tokenizer) -> None:
-        self.tok = tok
+    def __init__(self, tok: Tokenizer, pieces: int = CACHE_PIECES) -> None:
+        self.tok, self.pieces = tok, pieces
         self.inner: dict[str, bytes] = {}
 
         self.words: dict[str, bytes] = {}
@@ -91,7 +93,7 @@ class PieceEncoder:
     def _run_pieces(self, pieces: list[str]) -> list[bytes]:
         """The pieces with a space before each."""
         out, known, new = [], self.words, self._word
-        if len(known) > CACHE_PIECES:
+        if len(known) > self.pieces:
             known.clear()
         for p in pieces:
             if max(p) >= LATIN_END or (self.special and any(s in p for s in self.special)):
@@ -109,7 +111,7 @@ class PieceEncoder:
     def encode(self, texts: Iterable[str]) -> list[bytes]:
         cut = [_pieces(t) for t in texts]
         wanted = {p for c in cut if type(c) is list for p in c[1:]}
-        if len(self.inner) + len(wanted) > CACHE_PIECES:
+        if len(self.inner) + len(wanted) > self.pieces:
             self.inner.clear()
         new = list(wanted - self.inner.keys())
         for i in range(0, len(new), 50_000):
@@ -132,9 +134,9 @@ def _pieces(text: str) -> list[str] | str:
 _ENCODERS: dict[tuple, PieceEncoder] = {}
 
 
-def encoder(path: str, pattern: str | None = None) -> PieceEncoder:
+def encoder(path: str, pattern: str | None = None, pieces: int = CACHE_PIECES) -> PieceEncoder:
     if (path, pattern) not in _ENCODERS:
-        _ENCODERS[path, pattern] = PieceEncoder(load_tokenizer(path, pattern))
+        _ENCODERS[path, pattern] = PieceEncoder(load_tokenizer(path, pattern), pieces)
     return _ENCODERS[path, pattern]
 
 
@@ -192,7 +194,7 @@ def _encode_batches(path: str, pattern: str | None) -> Callable[[Iterator[pa.Rec
 
 def _round_batches(path: str, pattern: str | None) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        tool, table = encoder(path, pattern), byte_table(path, pattern)
+        tool, table = encoder(path, pattern, ROUND_TRIP_PIECES), byte_table(path, pattern)
         for batch in batches:
             for part in small_parts(batch, 0):
                 texts = [x or "" for x in part.column(0).to_pylist()]

@@ -202,6 +202,8 @@ def _round_batches(path: str, pattern: str | None) -> Callable[[Iterator[pa.Reco
                 back = [table.decode(np.frombuffer(x, "<u4")) for x in ids]
                 same = [b == t.encode("utf-8", "surrogatepass") for b, t in zip(back, texts, strict=True)]
                 yield pa.RecordBatch.from_arrays([*part.columns[1:], pa.array(ids, pa.binary()), pa.array(back, pa.binary()), pa.array(same, pa.bool_())], names=[*part.schema.names[1:], "ids", "decoded", "round_trip"])
+        tool.inner.clear()  # workers outlive their tasks
+        tool.words.clear()
 
     return run
 

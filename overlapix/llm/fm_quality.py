@@ -64,7 +64,7 @@ def statistics(text: str, stated: int | None, found: list[str]) -> dict[str, flo
 
 
 def _slot(word: str, known: dict[str, int]) -> int:
-    if len(known) > 500_000:
+    if len(known) > 100_000:
         known.clear()
     slot = known[word] = zlib.crc32(word.encode("utf-8", "surrogatepass")) % WORD_SLOTS
     return slot

@@ -6,13 +6,17 @@
 3. Rounds of neighbours-of-neighbours joins refine lists of the ``k`` best: each
    node's forward and reverse neighbours meet, and pairs with a fresh edge whose
    similarity beats an end's worst neighbour are proposed to it.
-4. An audit compares a bounded set of nodes with all others in blocks; below the
-   wanted recall, ``k`` doubles and the rounds go on.
-5. A list of ``k`` links only is saturated: its node may have more.  Lists are
-   therefore enlarged to the whole of the node's component of near links, and
-   every link is counted in double precision, in blocks of a component.
-
-The graph is refined on 8-bit codes; ``MARGIN`` covers their error, and step 5
+4. A list of ``k`` links only is saturated: its node may have more, and closer
+   copies may hide all of a looser group.  Saturated nodes search again, for
+   nodes outside their component of near links alone, until the lists of none
+   are saturated or no component gains a link.
+5. An audit compares a set of nodes, which grows with the table, with all others
+   in blocks; below the wanted recall, ``k`` doubles, new tables of projections
+   come in and the rounds go on, up to whole lists.
+6. Every link inside a component of near links is counted in double precision,
+   in blocks of a component.
+
+The graph is refined on 8-bit codes; ``MARGIN`` covers their error, and step 6
 decides on the original numbers.
 """
 
@@ -38,7 +42,9 @@ ROUNDS = 7
 #: Rounds end when fresh edges fall below this share of all.
 SETTLED = 0.01
 AUDIT_NODES = 48
-RECALL = 0.95
+#: Audited nodes are so many square roots of the table, first and at most; more are taken while they show fewer links than AUDIT_NODES.
+AUDIT_ROOTS = (2, 8)
+RECALL = 0.98
 BLOCK_ROWS = 1024
 SEED = 20_011
 
@@ -79,21 +85,25 @@ def _code_unit(code: np.ndarray) -> np.ndarray:
     return x / np.linalg.norm(x, axis=1, keepdims=True)
 
 
-def _project(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """(node, code) -> (table and dimension, bits, node, code), one row a table."""
-    planes: dict[int, np.ndarray] = {}
-    for batch in batches:
-        nodes, codes = batch.column(0).to_numpy(), batch.column(1).to_pylist()
-        sizes = np.array([len(c) for c in codes])
-        for d in np.unique(sizes):
-            at = np.flatnonzero(sizes == d)
-            if d not in planes:
-                planes[d] = np.random.default_rng([SEED, int(d)]).standard_normal((d, TABLES * BUCKET_BITS)).astype(np.float32)
-            x = np.frombuffer(b"".join(codes[i] for i in at), np.int8).reshape(len(at), d).astype(np.float32)
-            bits = (x @ planes[d] > 0).reshape(len(at), TABLES, BUCKET_BITS)
-            keys = bits @ (1 << np.arange(BUCKET_BITS, dtype=np.int64)[::-1])
-            for t in range(TABLES):
-                yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), int(d) * TABLES + t)), pa.array(keys[:, t].astype(np.int64)), pa.array(nodes[at]), pa.array([codes[i] for i in at], pa.binary())], names=["t", "bits", "node", "code"])
+def _project(tables: int, turn: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """(node, code, comp) -> (table and dimension, bits, node, code, comp), one row a table."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        planes: dict[int, np.ndarray] = {}
+        for batch in batches:
+            nodes, codes, comp = batch.column(0).to_numpy(), batch.column(1).to_pylist(), batch.column(2).to_numpy()
+            sizes = np.array([len(c) for c in codes])
+            for d in np.unique(sizes):
+                at = np.flatnonzero(sizes == d)
+                if d not in planes:
+                    planes[d] = np.random.default_rng([SEED, int(d), turn]).standard_normal((d, tables * BUCKET_BITS)).astype(np.float32)
+                x = np.frombuffer(b"".join(codes[i] for i in at), np.int8).reshape(len(at), d).astype(np.float32)
+                bits = (x @ planes[d] > 0).reshape(len(at), tables, BUCKET_BITS)
+                keys = bits @ (1 << np.arange(BUCKET_BITS, dtype=np.int64)[::-1])
+                for t in range(tables):
+                    yield pa.RecordBatch.from_arrays([pa.array(np.full(len(at), int(d) * tables + t)), pa.array(keys[:, t].astype(np.int64)), pa.array(nodes[at]), pa.array([codes[i] for i in at], pa.binary()), pa.array(comp[at])], names=["t", "bits", "node", "code", "comp"])
+
+    return run
 
 
 def _edges(u: np.ndarray, v: np.ndarray, s: np.ndarray) -> pa.RecordBatch:
@@ -101,23 +111,32 @@ def _edges(u: np.ndarray, v: np.ndarray, s: np.ndarray) -> pa.RecordBatch:
 
 
 def _beside(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Similarities of nodes that stand near each other in a bucket's order."""
-    for (_, _, _, nodes, code), starts in whole_groups(batches, 2):
-        group = np.repeat(np.arange(len(starts)), np.diff([*starts, len(nodes)]))
+    """Similarities of nodes to those of other components that stand next in a
+    bucket's order, after the run of their own component or before it."""
+    for (_, _, _, nodes, code, comp), starts in whole_groups(batches, 2):
+        n = len(nodes)
+        group = np.repeat(np.arange(len(starts)), np.diff([*starts, n]))
         x = _code_unit(code)
-        for lag in range(1, BESIDE + 1):
-            at = np.flatnonzero(group[lag:] == group[:-lag])
-            if not len(at):
-                break
-            s = np.einsum("ij,ij->i", x[at], x[at + lag])
-            yield _edges(np.concatenate([nodes[at], nodes[at + lag]]), np.concatenate([nodes[at + lag], nodes[at]]), np.concatenate([s, s]))
+        first = np.flatnonzero(np.concatenate([[True], (group[1:] != group[:-1]) | (comp[1:] != comp[:-1])]))
+        sizes = np.diff([*first, n])
+        start, end = np.repeat(first, sizes), np.repeat(first + sizes, sizes)
+        here = np.arange(n)
+        deep = here[here - start >= BESIDE]  # the run before has met the others
+        for lag in range(BESIDE):
+            a, b = np.concatenate([here, deep]), np.concatenate([end + lag, start[deep] - 1 - lag])
+            inside = (b >= 0) & (b < n)
+            a, b = a[inside], b[inside]
+            differ = (group[a] == group[b]) & (comp[a] != comp[b])
+            a, b = a[differ], b[differ]
+            s = np.einsum("ij,ij->i", x[a], x[b])
+            yield _edges(np.concatenate([nodes[a], nodes[b]]), np.concatenate([nodes[b], nodes[a]]), np.concatenate([s, s]))
 
 
 def _local_join(k: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    """(centre, member, fresh, low, code) groups -> better pairs."""
+    """(centre, member, fresh, low, code, comp) groups -> better pairs of different components."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for (_, members, fresh, low, code), starts in whole_groups(batches):
+        for (_, members, fresh, low, code, comp), starts in whole_groups(batches):
             out = []
             for a, b in zip(starts, [*starts[1:], len(members)], strict=True):
                 if b - a < 2 or not fresh[a:b].any():
@@ -129,7 +148,7 @@ def _local_join(k: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.Reco
                 s[~f[:, None] & ~f[None, :]] = -2
                 good = s > w[:, None]
                 i, j = np.nonzero(good)
-                differ = m[i] != m[j]
+                differ = comp[a:b][i] != comp[a:b][j]
                 i, j = i[differ], j[differ]
                 if len(i):
                     out.append((m[i], m[j], s[i, j]))
@@ -146,26 +165,48 @@ def _best(edges: DataFrame, k: int) -> DataFrame:
     return single.withColumn("r", rank).where(F.col("r") <= k).drop("r")
 
 
-def first_graph(codes: DataFrame, k: int, n: int) -> DataFrame:
+def tables_for(n: int) -> int:
+    """Projection tables of ``n`` nodes."""
+    return max(TABLES, int(np.ceil(np.log2(max(2, n)) / 2)))
+
+
+def first_graph(nodes: DataFrame, k: int, n: int, turn: int = 0) -> DataFrame:
+    """Lists of neighbours of other components for ``(node, code, comp)``; each ``turn`` has its own projections."""
     spread = max(0, BUCKET_BITS - max(1, int(np.log2(max(2, n / 16)))))
-    rows = codes.mapInArrow(_project, "t bigint, bits bigint, node bigint, code binary").withColumn("bucket", F.shiftright("bits", spread))
-    ordered = rows.select("t", "bucket", "bits", "node", "code").repartition("t", "bucket").sortWithinPartitions("t", "bucket", "bits", "node")
+    rows = nodes.select("node", "code", "comp").mapInArrow(_project(tables_for(n), turn), "t bigint, bits bigint, node bigint, code binary, comp bigint").withColumn("bucket", F.shiftright("bits", spread))
+    ordered = rows.select("t", "bucket", "bits", "node", "code", "comp").repartition("t", "bucket").sortWithinPartitions("t", "bucket", "bits", "node")
     return _best(ordered.mapInArrow(_beside, EDGE), k)
 
 
-def refine(graph: DataFrame, codes: DataFrame, k: int) -> DataFrame:
-    """One round: the graph after its neighbours' neighbours met."""
+def refine(graph: DataFrame, codes: DataFrame, k: int, inner: DataFrame | None = None) -> DataFrame:
+    """One round: the graph after its neighbours' neighbours met.  ``inner`` edges
+    lead from a node to more members of its component and take no place in lists."""
     low = graph.groupBy("u").agg(F.when(F.count("*") >= k, F.min("s")).otherwise(-1.0).cast("float").alias("low"))
-    nodes = codes.join(low, codes["node"] == low["u"], "left").select("node", "code", F.coalesce("low", F.lit(-1.0)).cast("float").alias("low"))
+    nodes = codes.join(low, codes["node"] == low["u"], "left").select("node", "code", "comp", F.coalesce("low", F.lit(-1.0)).cast("float").alias("low"))
     back = F.row_number().over(Window.partitionBy("v").orderBy(F.desc("fresh"), F.desc("s"), "u"))
     reverse = graph.withColumn("r", back).where(F.col("r") <= k).select(F.col("v").alias("c"), F.col("u").alias("m"), "fresh")
     itself = graph.select(F.col("u").alias("c"), F.col("u").alias("m"), F.lit(0).alias("fresh")).distinct()
-    meet = graph.select(F.col("u").alias("c"), F.col("v").alias("m"), "fresh").unionByName(reverse).unionByName(itself).groupBy("c", "m").agg(F.max("fresh").alias("fresh"))
-    members = meet.join(nodes, meet["m"] == nodes["node"]).select("c", "m", "fresh", "low", "code")
+    meet = graph.select(F.col("u").alias("c"), F.col("v").alias("m"), "fresh").unionByName(reverse).unionByName(itself)
+    if inner is not None:
+        meet = meet.unionByName(inner.select(F.col("u").alias("c"), F.col("v").alias("m"), F.lit(0).alias("fresh")))
+    meet = meet.groupBy("c", "m").agg(F.max("fresh").alias("fresh"))
+    members = meet.join(nodes, meet["m"] == nodes["node"]).select("c", "m", "fresh", "low", "code", "comp")
     better = members.repartition("c").sortWithinPartitions("c").mapInArrow(_local_join(k), EDGE)
     return _best(graph.withColumn("fresh", F.lit(0)).unionByName(better), k)
 
 
+def settle(graph: DataFrame, codes: DataFrame, k: int, n: int, inner: DataFrame | None = None) -> DataFrame:
+    """Rounds until few edges are new."""
+    for _ in range(max(ROUNDS, int(np.log2(max(2, n))))):
+        new = materialise(refine(graph, codes, k, inner), "graph")
+        discard(graph)
+        graph = new
+        fresh, all_ = graph.agg(F.coalesce(F.sum("fresh"), F.lit(0)), F.count("*")).first()
+        if fresh <= SETTLED * all_:
+            break
+    return graph
+
+
 def _audit_blocks(queries: list[tuple[int, bytes]], threshold: float) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         by: dict[int, list[tuple[int, bytes]]] = {}
@@ -179,19 +220,21 @@ def _audit_blocks(queries: list[tuple[int, bytes]], threshold: float) -> Callabl
                 if not len(at):
                     continue
                 x = _unit(np.frombuffer(b"".join(raws[i] for i in at), np.uint8).reshape(len(at), d))
-                q = _unit(np.frombuffer(b"".join(r for _, r in qs), np.uint8).reshape(len(qs), d))
-                i, j = np.nonzero(q @ x.T >= threshold)
-                ids = np.array([n for n, _ in qs])[i]
-                other = nodes[at][j]
-                keep = ids != other
-                if keep.any():
-                    yield pa.RecordBatch.from_arrays([pa.array(ids[keep]), pa.array(other[keep])], names=["u", "v"])
+                for first in range(0, len(qs), BLOCK_ROWS):
+                    part = qs[first : first + BLOCK_ROWS]
+                    q = _unit(np.frombuffer(b"".join(r for _, r in part), np.uint8).reshape(len(part), d))
+                    i, j = np.nonzero(q @ x.T >= threshold)
+                    ids = np.array([n for n, _ in part])[i]
+                    other = nodes[at][j]
+                    keep = ids != other
+                    if keep.any():
+                        yield pa.RecordBatch.from_arrays([pa.array(ids[keep]), pa.array(other[keep])], names=["u", "v"])
 
     return run
 
 
 def audit(vectors: DataFrame, threshold: float, nodes: int = AUDIT_NODES) -> DataFrame:
-    """All links of a bounded set of nodes of ``(node, raw)``, by comparison with every node in blocks."""
+    """All links of ``nodes`` nodes of ``(node, raw)``, by comparison with every node in blocks."""
     chosen = vectors.orderBy(F.xxhash64("node"), "node").limit(nodes).select("node", "raw").collect()
     return vectors.select("node", "raw").mapInArrow(_audit_blocks([(r.node, bytes(r.raw)) for r in chosen], threshold), "u bigint, v bigint")
 
@@ -275,32 +318,68 @@ def near_duplicates(table: DataFrame, vector: str = "embedding", vec_id: str = "
     return both.withColumn("kept", F.coalesce(F.col("vec_id") == F.col("component_id"), F.lit(False)))
 
 
+def grown_audit(vectors: DataFrame, threshold: float, n: int) -> DataFrame:
+    """Links of some square roots of ``n`` nodes; of more where those show few."""
+    root = np.sqrt(n)
+    nodes = int(max(AUDIT_NODES, AUDIT_ROOTS[0] * root))
+    while True:
+        truth = materialise(audit(vectors, threshold, nodes), "audit")
+        if nodes >= min(n, AUDIT_ROOTS[1] * root) or truth.count() >= AUDIT_NODES:
+            return truth
+        discard(truth)
+        nodes *= 2
+
+
+def join_saturated(graph: DataFrame, nodes: DataFrame, bar: float, k: int) -> DataFrame:
+    """Near edges ``(u, v)`` of ``graph``, and of lists of nodes outside their own
+    component for those whose ``k`` neighbours are all near.
+
+    Such lists need not hold the links inside a component, since step 6 counts
+    them all; so no list grows with a group.  A link between a saturated node and
+    one that is not is in the latter's list.
+    """
+    near = materialise(graph.where(F.col("s") >= bar).select("u", "v"), "near")
+    latest, turn = graph, 0
+    while True:
+        turn += 1
+        full = latest.where(F.col("s") >= bar).groupBy(F.col("u").alias("node")).agg(F.count("*").alias("c")).where(F.col("c") >= k).select("node")
+        if not full.limit(1).count():
+            return near
+        own = connected_components(near).withColumnRenamed("component", "own")
+        still = materialise(nodes.join(full, "node").join(own, "node").select("node", "code", F.col("own").alias("comp")), "saturated")
+        if still.select("comp").distinct().limit(2).count() < 2:
+            return near
+        n = still.count()
+        latest = settle(materialise(first_graph(still, k, n, turn), "graph"), still, k, n, graph)
+        links = materialise(latest.where(F.col("s") >= bar).select("u", "v"), "near")
+        if not links.limit(1).count():
+            return near
+        near = near.unionByName(links)
+
+
 def neighbour_links(vectors: DataFrame, codes: DataFrame, threshold: float, k: int) -> DataFrame:
-    """Graph edges near the threshold, after descent and audit."""
+    """Graph edges near the threshold, after descent, saturated lists and audit."""
+    nodes = codes.withColumn("comp", F.col("node"))
     n = codes.count()
-    graph = materialise(first_graph(codes, k, n), "graph")
-    truth = materialise(audit(vectors, threshold), "audit")
+    graph = materialise(first_graph(nodes, k, n), "graph")
+    truth = grown_audit(vectors, threshold, n)
     wanted = truth.count()
+    turn = 0
     while True:
-        for _ in range(ROUNDS):
-            new = materialise(refine(graph, codes, k), "graph")
-            discard(graph)
-            graph = new
-            fresh, all_ = graph.agg(F.coalesce(F.sum("fresh"), F.lit(0)), F.count("*")).first()
-            if fresh <= SETTLED * all_:
-                break
-        near = graph.where(F.col("s") >= threshold - MARGIN).select("u", "v")
-        if not wanted or k >= 4 * 12:
+        graph = settle(graph, nodes, k, n)
+        near = join_saturated(graph, nodes, threshold - MARGIN, k)
+        if not wanted or k >= n:
             break
-        # an audited link is found if the graph's near edges join its ends
+        # step 6 counts a link if, and only if, its ends share a component
         comps = connected_components(near)
         ends = truth.join(comps.select(F.col("node").alias("u"), F.col("component").alias("cu")), "u", "left").join(comps.select(F.col("node").alias("v"), F.col("component").alias("cv")), "v", "left")
         if ends.where("cu = cv").count() >= RECALL * wanted:
             break
         k *= 2
-        graph = graph.withColumn("fresh", F.lit(1))
-        graph = materialise(graph, "graph")
+        turn += 1
+        more = first_graph(nodes, k, n, (1 << 20) + turn)
+        graph = materialise(_best(graph.withColumn("fresh", F.lit(1)).unionByName(more), k), "graph")
     return near.unionByName(truth)
 
 
-__all__ = ["audit", "count_links", "near_duplicates", "neighbour_links"]
+__all__ = ["audit", "count_links", "join_saturated", "near_duplicates", "neighbour_links"]

@@ -61,3 +61,17 @@ def test_blocks_count_every_link(spark, monkeypatch):
     df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
     got, want = result(N.near_duplicates(df)), brute(rows)
     assert len(set(want) - set(got)) <= 3
+
+
+def test_looser_links_behind_many_closer_copies(spark):
+    """Pairs of tight groups, each larger than any list: the links between the two groups count too."""
+    rng, rows, d = np.random.default_rng(5), [], 32
+    for pair in range(40):
+        a, b = np.linalg.qr(rng.normal(size=(d, 2)))[0].T
+        for g, c in enumerate((a, 0.93 * a + np.sqrt(1 - 0.93**2) * b)):
+            rows += [(pair * 1000 + g * 500 + i, (c + rng.normal(0, 0.01, d)).tolist()) for i in range(55)]
+    df = spark.createDataFrame(rows, "vec_id bigint, embedding array<double>")
+    got, want = result(N.near_duplicates(df)), brute(rows)
+    links = [sum(r[1] for r in x) for x in (got, want)]
+    assert links[0] >= 0.98 * links[1], links
+    assert len({r[2] for r in got}) == len({r[2] for r in want}) == 40

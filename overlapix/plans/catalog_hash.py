@@ -397,6 +397,21 @@ def passage_containment(spark: SparkSession, d: str) -> DataFrame:
     return containment_join(spark, d).join(labels, "x_id", "left").select("q_id", "x_id", "a", F.coalesce("quality", F.lit(-1)).alias("quality"))
 
 
+@query(O.query(PASSAGE, "SELECT q_id, x_id, CAST(a AS BIGINT) AS a, CAST(fq AS BIGINT) AS fq, CAST(fx AS BIGINT) AS fx FROM ov WHERE a >= ceil(0.9 * fq)"))
+def containment_join_whole(spark: SparkSession, d: str) -> DataFrame:
+    """Every pair of containment 0.9, by the prefix filter; ``containment_join`` gives those its index meets."""
+    x, q = (s.where("f > 0") for s in passages(spark, d))
+    found = exact.InvertedIndex(x).search_threshold(x, q, 0.9)
+    sized = found.join(q.select(F.col("id").alias("q_id"), F.col("f").cast("bigint").alias("fq")), "q_id")
+    return sized.join(x.select(F.col("id").alias("x_id"), F.col("f").cast("bigint").alias("fx")), "x_id").select("q_id", "x_id", "a", "fq", "fx")
+
+
+@query(O.query(PASSAGE, "SELECT q_id, x_id, CAST(a AS BIGINT) AS a, coalesce(quality, -1) AS quality FROM ov LEFT JOIN labels ON doc_id = x_id WHERE a >= ceil(0.9 * fq)"))
+def passage_containment_whole(spark: SparkSession, d: str) -> DataFrame:
+    labels = load(spark, d, "labels").select(F.col("doc_id").alias("x_id"), "quality")
+    return containment_join_whole(spark, d).join(labels, "x_id", "left").select("q_id", "x_id", "a", F.coalesce("quality", F.lit(-1)).alias("quality"))
+
+
 @query(O.query([*O.base("docs_w"), O.draws(48, SEED), f"code AS MATERIALIZED ({O.raw('inc')})", "b AS MATERIALIZED (SELECT id, t // 4 AS j, string_agg(CAST(code AS VARCHAR), '-' ORDER BY t) AS key FROM code GROUP BY id, t // 4)", "c AS (SELECT DISTINCT x.id AS id1, y.id AS id2 FROM b x JOIN b y ON x.j = y.j AND x.key = y.key AND x.id < y.id)", "o AS (SELECT id1, id2, count(*) AS a FROM c JOIN inc x ON x.id = id1 JOIN inc y ON y.id = id2 AND y.e = x.e GROUP BY id1, id2)"], "SELECT id1, id2, round(a / (s.f + t.f - a), 6) AS value FROM o JOIN sets s ON s.id = id1 JOIN sets t ON t.id = id2 WHERE a / (s.f + t.f - a) >= 0.8"))
 def near_duplicates(spark: SparkSession, d: str) -> DataFrame:
     """Pairs of documents of resemblance 0.8, of those that share a bucket; identical

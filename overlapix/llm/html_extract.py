@@ -1,11 +1,14 @@
 """Main text of web pages by the distribution of text over lines.
 
-Markup is stripped into lines (block elements and ``<br>`` end a line); lines of
-menus, forms, notices, comments and the like count as empty, and so do lines
-outside the article where the page names one.  Text lengths are summed over
-windows of ``WINDOW`` lines.  A surge is where the sums rise from nothing to the
-level of running text, a dive where they fall back to nothing; the text between
-them is kept.
+Markup is stripped into lines: block elements and ``<br>`` end one.  Tags only
+weigh: text of menus, forms, notices, comments and the like weighs nothing, nor
+does text outside the article (or the main element) of a page that names one;
+where a page names none, lines that are mostly links, and lines that read like
+a foot note, weigh nothing either.  Weights are summed over windows of ``WINDOW``
+lines.  A surge is where the sums rise from nothing, a dive where they fall back
+to nothing; between them stands running text if some window reaches the page's
+level.  What lies between such a surge and dive is kept whole, but for elements
+that are not the article's.
 """
 
 from __future__ import annotations
@@ -21,6 +24,8 @@ from pyspark.sql import functions as F
 WINDOW = 3
 #: A region is running text if some window of it holds this many characters, or half the page's best window.
 SURGE = 80
+#: Elements that what starts next closes, if nothing else does.
+SHORT = frozenset("p li span a".split())
 
 TAG = re.compile(r"<!--.*?(?:-->|\Z)|<[!?][^>]*+>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*+)((?:[^<>\"']++|\"[^\"]*+\"|'[^']*+')*+)>|<(/?)([a-zA-Z][a-zA-Z0-9:-]*+)([^<>]*+)>", re.S)
 ATTRIBUTE = re.compile(r"([a-zA-Z_:-]+)\s*=\s*(?:\"([^\"]*)\"|'([^']*)'|([^\s\"'>]+))")
@@ -56,124 +61,157 @@ def _marked(name: str, attributes: str, in_article: bool) -> bool:
     return bool(re.search(r"(?:^|\s)hidden(?:\s|=|/?$)", ATTRIBUTE.sub(" ", attributes)))
 
 
+class Tag:
+    __slots__ = ("attributes", "close", "closing", "end", "name", "start")
+
+    def __init__(self, start: int, end: int, name: str, closing: bool, attributes: str) -> None:
+        self.start, self.end, self.name, self.closing, self.attributes = start, end, name, closing, attributes
+        self.close: int | None = None  # number of the tag that closes this one
+
+
+def tags_of(html: str) -> list[Tag]:
+    """Tags in page order, each opening one with its closing one.  What ``RAW``
+    elements and comments hold is part of one long tag without a name.  One pass."""
+    tags: list[Tag] = []
+    open_: dict[str, list[int]] = {}
+    pos = 0
+    while m := TAG.search(html, pos):
+        pos = m.end()
+        name = (m[2] or m[5] or "").lower()
+        closing, attributes = bool(m[1] or m[4]), m[3] or m[6] or ""
+        if name in RAW and not closing and not attributes.endswith("/"):
+            close = re.compile(rf"</{name}\s*>", re.I).search(html, pos)
+            pos = close.end() if close else len(html)
+            name = ""
+        tag = Tag(m.start(), pos, name, closing, attributes)
+        if name and closing:
+            if open_.get(name):
+                tags[open_[name].pop()].close = len(tags)
+        elif name and name not in VOID and not attributes.endswith("/"):
+            open_.setdefault(name, []).append(len(tags))
+        tags.append(tag)
+    return tags
+
+
 class Line:
+    """A line's text, how much of it is linked, the number of its article from 1,
+    and whether it is in a main element.  A line without text stands for an element
+    that is not the article's, or for the start of an article."""
+
     __slots__ = ("article", "linked", "main", "text")
 
-    def __init__(self, text: str, linked: int, article: int, main: bool) -> None:
+    def __init__(self, text: str, linked: int = 0, article: int = 0, main: bool = False) -> None:
         self.text, self.linked, self.article, self.main = text, linked, article, main
 
 
 def lines_of(html: str) -> list[Line]:
-    """Text lines in page order, with what they stand in; excluded elements give empty lines."""
+    """Lines in page order.  Elements that are never closed exclude nothing."""
+    tags = tags_of(html)
     lines: list[Line] = []
     parts: list[str] = []
-    linked = 0
-    article = main = links = 0  # depths
-    number = 0  # of the outermost article, from 1
-    away, away_depth, back = "", 0, None  # the excluded element being passed
+    linked = article = main = links = number = pos = i = 0
 
     def flush() -> None:
         nonlocal linked
         text = " ".join(unescape("".join(parts)).split()) if parts else ""
         parts.clear()
-        lines.append(Line(text, linked, number if article else 0, main > 0))
+        if text:
+            lines.append(Line(text, linked, number if article else 0, main > 0))
         linked = 0
 
-    pos = 0
-    while True:
-        m = TAG.search(html, pos)
-        end = m.start() if m else len(html)
-        if end > pos and not away:
-            piece = html[pos:end]
-            parts.append(piece)
+    def gap() -> None:
+        flush()
+        if lines and lines[-1].text:
+            lines.append(Line("", 0, number if article else 0, main > 0))
+
+    blocks = [len(tags)] * (len(tags) + 1)  # from each tag on, the next that starts or ends a block
+    for n in range(len(tags) - 1, -1, -1):
+        blocks[n] = n if tags[n].name in BLOCK else blocks[n + 1]
+
+    while i < len(tags):
+        tag = tags[i]
+        if tag.start > pos:
+            parts.append(html[pos : tag.start])
             if links:
-                linked += len(piece)
-        if m is None:
-            if away and back is not None:  # never closed: it excludes its own line alone
-                pos, kept, article, main, number = back
-                del lines[kept:]
-                away, back, links = "", None, 0
-                continue
-            break
-        pos = m.end()
-        name = (m[2] or m[5] or "").lower()
+                linked += tag.start - pos
+        pos = tag.end
+        i += 1
+        name = tag.name
         if not name:
             continue
-        closing, attributes = bool(m[1] or m[4]), m[3] or m[6] or ""
-        if name in RAW and not closing:
-            if not attributes.endswith("/"):
-                close = re.compile(rf"</{name}\s*>", re.I).search(html, pos)
-                pos = close.end() if close else len(html)
-            continue
-        if away:
-            if away in ("p", "li", "span", "a") and name in BLOCK and not (name == away and closing):
-                away = ""  # closed by what starts here
-            else:
-                if name == away and name not in VOID:
-                    away_depth += -1 if closing else 1
-                    if not away_depth:
-                        away, back = "", None
-                        flush()
+        if not tag.closing and name not in VOID and not tag.attributes.endswith("/") and _marked(name, tag.attributes, article > 0):
+            stop = tag.close
+            if name in SHORT:  # closed by the block that starts or ends next, too
+                j = blocks[i]
+                while j < len(tags) and tags[j].name == name and tags[j].closing and j != stop:
+                    j = blocks[j + 1]
+                if j < len(tags) and (stop is None or j < stop):
+                    gap()
+                    pos, i = tags[j].start, j
+                    continue
+            if stop is not None:
+                gap()
+                pos, i = tags[stop].end, stop + 1
                 continue
-        if not closing and name not in VOID and not attributes.endswith("/") and _marked(name, attributes, article > 0):
-            flush()
-            away, away_depth, back = name, 1, (pos, len(lines), article, main, number)
-            continue
         if name in BLOCK:
             flush()
         if name == "article":
-            if not closing:
-                number += not article
+            if not tag.closing:
+                if not article:
+                    number += 1
+                    lines += [Line("") for _ in range(WINDOW)]
                 article += 1
             else:
                 article = max(0, article - 1)
         elif name == "main":
-            main = max(0, main + (-1 if closing else 1))
+            main = max(0, main + (-1 if tag.closing else 1))
         elif name == "a":
-            links = 0 if closing else 1
+            links = 0 if tag.closing else 1
+    if len(html) > pos:
+        parts.append(html[pos:])
     flush()
     return lines
 
 
+def weights(lines: list[Line]) -> list[int]:
+    """What each line adds to the window sums; see the module."""
+    if any(x.article and x.text for x in lines):
+        return [len(x.text) if x.article else 0 for x in lines]
+    within = any(x.main and x.text for x in lines)
+    return [len(x.text) if (x.main or not within) and 2 * x.linked <= len(x.text) and not FOOT_NOTE.match(x.text) else 0 for x in lines]
+
+
 def main_text(html: str | None) -> str:
     """The article's text; empty for null, empty or article-less pages."""
     lines = lines_of(html or "")
-    by: dict[int, int] = {}
-    for x in lines:
-        if x.article:
-            by[x.article] = by.get(x.article, 0) + len(x.text)
-    most = max(by.values(), default=0)
-    if most:
-        chosen = {a for a, n in by.items() if 4 * n >= most}
-        sizes = [len(x.text) * (x.article in chosen) for x in lines]
-        level = 1
-    else:
-        within = any(x.main and x.text for x in lines)
-        sizes = [len(x.text) if (x.main or not within) and 2 * x.linked <= len(x.text) and not FOOT_NOTE.match(x.text) else 0 for x in lines]
-        sums = [sum(sizes[i : i + WINDOW]) for i in range(len(sizes))]
-        level = min(SURGE, max(sums, default=0) / 2)
+    named = any(x.article and x.text for x in lines)
+    if not named:  # elements that are not the article's divide a page that names none
+        lines = [y for x in lines for y in ([x] if x.text else [x] * WINDOW)]
+    sizes = weights(lines)
+    sums = [sum(sizes[max(0, i - WINDOW + 1) : i + 1]) for i in range(len(sizes))]
+    level = min(SURGE, max(sums, default=0) / 2)
     keep: list[str] = []
     for start, end in regions(sizes, level):
-        keep += [x.text for x, n in zip(lines[start:end], sizes[start:end], strict=True) if n]
+        keep += [x.text for x in lines[start:end] if x.text and (x.article or not named)]
     return " ".join(keep)
 
 
 def regions(sizes: list[int], level: float) -> Iterator[tuple[int, int]]:
-    """Surge and dive points: runs of lines whose window sums stay above nothing
-    and somewhere reach ``level``."""
-    start, quiet, best = None, 0, 0
+    """Surge and dive points ``(first line, line after the last)``: runs of lines
+    whose window sums stay above nothing and somewhere reach ``level``."""
+    start, last, best = None, 0, 0
     for i in range(len(sizes) + WINDOW):
-        n = sizes[i] if i < len(sizes) else 0
+        inside = sum(sizes[max(0, i - WINDOW + 1) : i + 1])
+        if i < len(sizes) and sizes[i]:
+            start, last = (i, i) if start is None else (start, i)
         if start is None:
-            if n:
-                start, quiet, best = i, 0, n
             continue
-        quiet = 0 if n else quiet + 1
-        best = max(best, sum(sizes[max(start, i - WINDOW + 1) : i + 1]))
-        if quiet == WINDOW:
-            if best >= level > 0:
-                yield start, i - WINDOW + 1
-            start = None
+        if inside:
+            best = max(best, inside)
+            continue
+        if best >= level > 0:
+            yield start, last + 1
+        start, best = None, 0
 
 
 def _batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:

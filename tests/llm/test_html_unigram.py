@@ -1,4 +1,5 @@
 import random
+import time
 
 import public_tokenizers as P
 import pytest
@@ -36,6 +37,66 @@ def test_odd_pages(html):
         assert "text of the page" in out
 
 
+def test_windows_decide_between_articles():
+    """A teaser beside the story goes, for its windows stay below the level; without windows it would stay."""
+    page = "<article><h2>Other story</h2><p>Read it.</p></article><article><h1>Story</h1>" + "<p>Running text of the story itself.</p>" * 9 + "</article><article><p>More</p></article>"
+    story = "Story " + " ".join(["Running text of the story itself."] * 9)
+    assert H.main_text(page) == story
+    level, H.SURGE = H.SURGE, 1e-9
+    try:
+        assert H.main_text(page) == "Other story Read it. " + story + " More"
+    finally:
+        H.SURGE = level
+
+
+def slow_regions(sizes, level):
+    """Surge and dive from the definition: every window sum, every run of positive ones."""
+    padded = [*sizes, *[0] * H.WINDOW]
+    sums = [sum(padded[j] for j in range(i - H.WINDOW + 1, i + 1) if j >= 0) for i in range(len(padded))]
+    out, i = [], 0
+    while i < len(sums):
+        if not sums[i]:
+            i += 1
+            continue
+        j = i
+        while j < len(sums) and sums[j]:
+            j += 1
+        if max(sums[i:j]) >= level > 0:
+            out.append((i, max(k for k in range(i, j) if padded[k]) + 1))
+        i = j
+    return out
+
+
+def test_surge_and_dive_by_brute_force():
+    rng = random.Random(8)
+    for _ in range(3000):
+        sizes = [rng.choice([0, 0, 0, 1, 5, 40, 90]) for _ in range(rng.randrange(25))]
+        level = rng.choice([0, 1, 30, 80])
+        assert list(H.regions(sizes, level)) == slow_regions(sizes, level)
+
+
+def test_pages_without_their_article_tag(spark):
+    """The windows find the same text where the pages name no article."""
+    html = [r.html for r in spark.read.parquet("/root/testdata/sf0.01/pages.parquet").collect()]
+    same = [H.main_text(h) == H.main_text(h.replace("<article>", "<div>").replace("</article>", "</div>")) for h in html]
+    assert sum(same) >= 0.95 * len(same), sum(same) / len(same)
+
+
+@pytest.mark.parametrize("unit", ["<div class=ad>", "<div class=ad><p>", "<p class=ad>x", "<a class=share href='x>", "<!--", "<script>", "<span class=ad>", "</div>", "<li class=menu><ul>", "<article>"])
+def test_long_odd_pages_are_quick(unit):
+    start = time.time()
+    H.main_text(unit * (1_000_000 // len(unit)))
+    assert time.time() - start < 4
+
+
+def test_rows_that_repeat_and_columns_that_clash(spark):
+    rows = [(1, "u", PAGE, "t", 7), (1, "u", PAGE, "t", 7), (2, None, None, "t", 7), (None, "v", PLAIN, None, None)]
+    df = spark.createDataFrame(rows, "page_id bigint, url string, html string, text string, n_chars int")
+    got = sorted(map(tuple, H.extract(df).collect()), key=repr)
+    assert len(got) == 4 and got[0] == got[1] and got[0][2] == H.main_text(PAGE) and (2, None, "", 0) in got
+    assert H.extract(df.limit(0)).count() == 0
+
+
 def test_pages_table(spark):
     pages = spark.read.parquet("/root/testdata/sf0.001/pages.parquet")
     rows = H.extract(pages).collect()

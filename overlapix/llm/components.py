@@ -42,15 +42,30 @@ def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in kept], pa.int64()), pa.array([r for _, r in kept], pa.int64())], names=["u", "v"])
 
 
-def _large_star(edges: DataFrame) -> DataFrame:
+def _with_least(edges: DataFrame, total: int) -> tuple[DataFrame, DataFrame]:
+    """Edges with ``m``, the least ``v`` of their ``u``, and (u, m) alone.
+
+    Nodes with more than their share of all edges, a partition's, are no more than
+    there are partitions: their least ends are broadcast, so that no task has a hub
+    whole.  The others meet theirs in a shuffle join.
+    """
+    parts = max(1, int(edges.sparkSession.conf.get("spark.sql.shuffle.partitions")))
+    least = edges.groupBy("u").agg(F.min("v").alias("m"), F.count("*").alias("n"))
+    share = max(16, total // (4 * parts))
+    hubs = F.broadcast(least.where(F.col("n") > share).select("u", "m"))
+    rest = edges.join(hubs.select("u"), "u", "left_anti").join(least.where(F.col("n") <= share).select("u", "m").hint("merge"), "u")
+    return edges.join(hubs, "u").select("u", "v", "m").unionByName(rest.select("u", "v", "m")), least.select("u", "m")
+
+
+def _large_star(edges: DataFrame, total: int) -> DataFrame:
     both = edges.unionByName(edges.select(F.col("v").alias("u"), F.col("u").alias("v")))
-    least = both.groupBy("u").agg(F.min("v").alias("m")).select("u", F.least("u", "m").alias("m"))
-    return both.join(least, "u").where(F.col("v") > F.col("u")).select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
+    joined, _ = _with_least(both, 2 * total)
+    return joined.where(F.col("v") > F.col("u")).select(F.col("v").alias("u"), F.least("u", "m").alias("v")).distinct()
 
 
-def _small_star(edges: DataFrame) -> DataFrame:
-    least = edges.groupBy("u").agg(F.min("v").alias("m"))
-    moved = edges.join(least, "u").where(F.col("v") != F.col("m")).select(F.col("v").alias("u"), F.col("m").alias("v"))
+def _small_star(edges: DataFrame, total: int) -> DataFrame:
+    joined, least = _with_least(edges, total)
+    moved = joined.where(F.col("v") != F.col("m")).select(F.col("v").alias("u"), F.col("m").alias("v"))
     return moved.unionByName(least.select("u", F.col("m").alias("v"))).distinct()
 
 
@@ -69,7 +84,7 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     for _ in range(max_rounds):
         if not seen[0]:
             break
-        then = materialise(_small_star(_large_star(now)), "edges")
+        then = materialise(_small_star(_large_star(now, seen[0]), 2 * seen[0]), "edges")
         mark = _digest(then)
         discard(now)
         now, settled = then, mark == seen

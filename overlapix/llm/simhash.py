@@ -4,11 +4,19 @@ A fingerprint is the bitwise majority of the hashes of a text's word shingles.
 Pairs within ``radius`` differing bits link.  The search embeds a fingerprint
 as the bit counts of its two-bit segments: the Manhattan distance between two
 such count vectors never exceeds the number of differing bits, so it is a lower
-bound.  The segments are dealt to ``axes`` grid axes of unit cells; a pair
-within ``radius`` differs on at most ``radius`` axes, hence shares the cells of
-some ``axes - radius`` of them.  The range join is therefore an equi-join on
-the grid cells of every choice of ``axes - radius`` axes, followed by the
-Manhattan test and the exact bit test inside each bucket.
+bound.  The segments are dealt to ``axes`` grid axes; a pair within Manhattan
+distance ``radius`` differs on at most ``radius`` axes, hence shares the cells
+of some ``axes - radius`` of them.  The range join is therefore an equi-join on
+the grid cells of every choice of ``axes - radius`` axes.  In a bucket, pairs
+beyond the Manhattan distance go first, and the exact bit test decides on the
+rest.  Counts are kept in unary (0 as 00, 1 as 01, 2 as 11), so that Manhattan
+distance is one exclusive-or and one count of bits.  Buckets over ``BUCKET_ROWS``
+rows are dealt to tasks as blocks of row parts, every pair of parts once.
+
+``keep_similar_groups`` finds near copies by the similarity of their sets of
+five-word shingles: candidates come from the same search over several
+fingerprints of word pairs, which few edits move little, and the shingle sets
+of each candidate pair decide.
 """
 
 from __future__ import annotations
@@ -23,10 +31,12 @@ import xxhash
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from overlapix.llm.arrow_groups import whole_groups
 from overlapix.llm.components import connected_components
 from overlapix.llm.storage import discard, materialise
 
 SEED = 42
+EDGE = "u bigint, v bigint, big int"
 SEGMENT_BITS = 2
 SEGMENTS = 64 // SEGMENT_BITS
 #: Collision entropy in bits of one two-bit segment's count.
@@ -35,6 +45,14 @@ SEGMENT_ENTROPY = 1.415
 SMALL_BUCKET = 128
 #: Comparisons held in memory at once.
 BLOCK = 1 << 21
+#: Rows of a bucket, or of a part of one, that a task compares.
+BUCKET_ROWS = 20_000
+#: Large buckets are looked for in one fingerprint of so many, and broadcast up to that number.
+SEEN, BROADCAST_CELLS = 64, 200_000
+#: Work of a comparison against that of a bucket row, which is written, sent, sorted and read.
+COMPARISON = 1e-4
+#: Near copies by shingle sets: fingerprints a text, differing bits of one of them, and shingles.
+WORDS, WORD_RADIUS, SHINGLE, SIMILARITY = 4, 5, 5, 0.8
 
 
 def fingerprint(text: str | None, k: int = 4, seed: int = SEED) -> int:
@@ -82,21 +100,33 @@ def segment_counts(fps: np.ndarray) -> np.ndarray:
     return bits.reshape(len(fps), SEGMENTS, SEGMENT_BITS).sum(2, dtype=np.uint8)
 
 
+LOW = np.uint64(0x5555_5555_5555_5555)
+ONE = np.uint64(1)
+
+
+def unary_counts(fps: np.ndarray) -> np.ndarray:
+    """The same counts, two bits each in unary: the bits in which two of them differ are their Manhattan distance."""
+    low, high = fps & LOW, (fps >> ONE) & LOW
+    return (low | high) | ((low & high) << ONE)
+
+
 def choose_axes(n: int, radius: int) -> int:
     """The number of grid axes of least expected work for ``n`` distinct fingerprints.
 
-    Every choice is exact; more axes mean more bucket rows and fewer comparisons.
+    Every choice is exact; more axes mean more bucket rows, ``comb(axes, radius)`` a
+    fingerprint, and fewer comparisons.
     """
     whole = SEGMENT_ENTROPY * SEGMENTS
 
     def cost(axes: int) -> float:
         choices = comb(axes, radius)
-        return choices * n * 1.0 + choices * n * n / 2 * 2.0 ** (-whole * (axes - radius) / axes) * 0.02
+        return choices * n * (1.0 + n / 2 * 2.0 ** (-whole * (axes - radius) / axes) * COMPARISON)
 
     return min(range(radius + 2, radius + 9), key=cost)
 
 
 def _cells(axes: int, radius: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """(fp, node, word) -> one row a choice of axes; fingerprints of different words never meet."""
     dealt = [np.arange(a, SEGMENTS, axes) for a in range(axes)]
     choices = list(combinations(range(axes), axes - radius))
 
@@ -109,7 +139,7 @@ def _cells(axes: int, radius: int) -> Callable[[Iterator[pa.RecordBatch]], Itera
                 cell = [counts[:, d] @ (base ** np.arange(len(d), dtype=np.int64)) for d in dealt]
                 keys = []
                 for number, axes_kept in enumerate(choices):
-                    key = np.full(len(fps), number, np.int64)
+                    key = part.column(2).to_numpy().astype(np.int64) * len(choices) + number
                     for a in axes_kept:
                         key = key * base ** len(dealt[a]) + cell[a]
                     keys.append(key)
@@ -119,11 +149,17 @@ def _cells(axes: int, radius: int) -> Callable[[Iterator[pa.RecordBatch]], Itera
 
 
 def _near(a: np.ndarray, b: np.ndarray, radius: int) -> np.ndarray:
-    """Exact bit test; the Manhattan bound is what brought the pair here."""
-    return np.bitwise_count(a ^ b) <= radius
+    """Within ``radius`` bits: by the Manhattan bound first, then by the bits of what it leaves."""
+    near = np.bitwise_count(unary_counts(a) ^ unary_counts(b)) <= radius
+    x, y = np.broadcast_arrays(a, b)
+    near[near] = np.bitwise_count(x[near] ^ y[near]) <= radius
+    return near
 
 
-def _walk(fps: np.ndarray, nodes: np.ndarray, radius: int) -> list[tuple[np.ndarray, np.ndarray]]:
+Pairs = list[tuple[np.ndarray, np.ndarray]]
+
+
+def _walk(fps: np.ndarray, nodes: np.ndarray, radius: int) -> Pairs:
     """Stars of the components inside one large bucket, by search from seeds."""
     left = np.arange(len(fps))
     out = []
@@ -141,58 +177,165 @@ def _walk(fps: np.ndarray, nodes: np.ndarray, radius: int) -> list[tuple[np.ndar
     return out
 
 
-def _bucket_edges(radius: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
-    def edges(cell: np.ndarray, fps: np.ndarray, nodes: np.ndarray) -> pa.RecordBatch | None:
-        bounds = np.flatnonzero(np.diff(cell)) + 1
-        starts = np.concatenate([[0], bounds])
-        sizes = np.diff(np.concatenate([starts, [len(cell)]]))
-        found = []
-        for s, n in zip(starts[sizes > SMALL_BUCKET], sizes[sizes > SMALL_BUCKET], strict=True):
-            found += _walk(fps[s : s + n], nodes[s : s + n], radius)
-        small = np.repeat(sizes <= SMALL_BUCKET, sizes)
-        c, f, v = cell[small], fps[small], nodes[small]
-        for lag in range(1, SMALL_BUCKET):
-            at = np.flatnonzero(c[lag:] == c[:-lag])
-            if not len(at):
-                break
-            at = at[_near(f[at], f[at + lag], radius)]
-            found.append((v[at], v[at + lag]))
-        found = [x for x in found if len(x[0])]
-        if not found:
-            return None
-        u, w = (np.concatenate([x[i] for x in found]) for i in (0, 1))
-        pairs = np.unique(np.stack([np.maximum(u, w), np.minimum(u, w)], 1), axis=0)
-        return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1])], names=["u", "v"])
+def _stars(fps: np.ndarray, nodes: np.ndarray, radius: int) -> Pairs:
+    """Rows of a large bucket, each linked to a centre that it is near to, and to
+    itself, so that all are named.  A centre is the row nearest to the majority of
+    what is left, the text that most copies come from, while such rows have others
+    near them, and then the first that is left."""
+    left = np.arange(len(fps))
+    out = [(nodes, nodes)]
+    middling = True
+    while len(left) > 1:
+        centre = left[0]
+        if middling:
+            bits = np.unpackbits(fps[left].view(np.uint8).reshape(-1, 8), axis=1)
+            middle = np.packbits(bits.sum(0, dtype=np.int64) * 2 > len(left)).view(np.uint64)[0]
+            centre = left[np.argmin(np.bitwise_count(fps[left] ^ middle))]
+        near = _near(fps[left], fps[centre], radius)
+        star = left[near]
+        middling = middling and len(star) > 1
+        out.append((nodes[star], np.full(len(star), nodes[centre])))
+        left = left[~near]
+    return out
+
+
+def _unlike(fps: np.ndarray, nodes: np.ndarray, label: np.ndarray, radius: int) -> Pairs:
+    """Near pairs of different labels, in blocks; the rows of the commonest label are not compared with each other."""
+    values, which, counts = np.unique(label, return_inverse=True, return_counts=True)
+    main = which == np.argmax(counts)
+    rows, out = np.flatnonzero(~main), []
+    step = max(1, BLOCK // max(1, len(fps)))
+    for i in range(0, len(rows), step):
+        at = rows[i : i + step]
+        a, b = np.nonzero(_near(fps[at, None], fps[None, :], radius) & (label[at, None] != label[None, :]))
+        out.append((nodes[at[a]], nodes[b]))
+    return out
+
+
+def _lagged(cell: np.ndarray, fps: np.ndarray, nodes: np.ndarray, radius: int) -> Pairs:
+    """All near pairs of small buckets, by lags over the sorted rows."""
+    out = []
+    for lag in range(1, SMALL_BUCKET):
+        at = np.flatnonzero(cell[lag:] == cell[:-lag])
+        if not len(at):
+            break
+        at = at[_near(fps[at], fps[at + lag], radius)]
+        out.append((nodes[at], nodes[at + lag]))
+    return out
+
+
+def _cross(fps: np.ndarray, nodes: np.ndarray, part: np.ndarray, radius: int, stars: bool) -> Pairs:
+    """Rows of two parts of a bucket: what its near pairs connect as stars of least
+    nodes or, with ``stars``, each row with the nearest of the other part."""
+    a, b = np.flatnonzero(part == part.min()), np.flatnonzero(part != part.min())
+    label, out = nodes.copy(), []
+    step = max(1, BLOCK // max(1, len(b)))
+    best = np.full(len(b), -1)
+    least = np.full(len(b), 255, np.uint8)
+    while len(a) and len(b):
+        before = label.copy()
+        for i in range(0, len(a), step):
+            at = a[i : i + step]
+            near = _near(fps[at, None], fps[b][None, :], radius)
+            if stars:
+                far = np.where(near, np.bitwise_count(fps[at, None] ^ fps[b][None, :]), 255)
+                hit = near.any(1)
+                out.append((nodes[at[hit]], nodes[b[far.argmin(1)[hit]]]))
+                closer = far.min(0) < least
+                best[closer], least[closer] = at[far.argmin(0)[closer]], far.min(0)[closer]
+            else:
+                most = np.iinfo(np.int64).max
+                label[b] = np.minimum(label[b], np.where(near, label[at, None], most).min(0))
+                label[at] = np.minimum(label[at], np.where(near, label[b][None, :], most).min(1))
+        if stars or (label == before).all():
+            break
+    if stars:
+        return [*out, (nodes[b[best >= 0]], nodes[best[best >= 0]])]
+    return [(nodes[label != nodes], label[label != nodes])]
+
+
+def _edges(found: Pairs, big: int = 0) -> pa.RecordBatch | None:
+    found = [x for x in found if len(x[0])]
+    if not found:
+        return None
+    u, w = (np.concatenate([x[i] for x in found]) for i in (0, 1))
+    pairs = np.unique(np.stack([np.maximum(u, w), np.minimum(u, w)], 1), axis=0)
+    return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1]), pa.array(np.full(len(pairs), big, np.int32))], names=["u", "v", "big"])
+
+
+def _bucket_edges(radius: int, mode: str) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """(cell, i, j, part, fp, node) groups -> edges.  Small buckets give all near
+    pairs.  Large ones give, by ``mode``, the stars of their ``components``, or those of
+    centres (``stars``), marked as ``big``; with a column of ``labels``, buckets of any
+    size give the near pairs of different labels."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[list[np.ndarray]] = []
-        for batch in batches:
-            cols = [batch.column(i).to_numpy(zero_copy_only=False) for i in range(3)]
-            cols[1] = cols[1].view(np.uint64)
-            held.append(cols)
-            if cols[0][0] == cols[0][-1] and held[0][0][0] == cols[0][-1]:
-                continue  # one bucket goes on
-            whole = [np.concatenate([h[i] for h in held]) for i in range(3)]
-            cut = int(np.searchsorted(whole[0], whole[0][-1]))
-            held = [[x[cut:] for x in whole]]
-            if out := edges(*(x[:cut] for x in whole)):
-                yield out
-        if held:
-            if out := edges(*(np.concatenate([h[i] for h in held]) for i in range(3))):
-                yield out
+        for (_, first, second, part, fps, nodes, *label), starts in whole_groups(batches, 3):
+            fps = fps.view(np.uint64)
+            sizes = np.diff(np.concatenate([starts, [len(fps)]]))
+            if mode != "labels":
+                group = np.repeat(np.arange(len(starts)), sizes)
+                small = np.repeat(sizes <= SMALL_BUCKET, sizes) & (first == second)
+                if out := _edges(_lagged(group[small], fps[small], nodes[small], radius)):
+                    yield out
+            for s, n in zip(starts, sizes, strict=True):
+                f, v = fps[s : s + n], nodes[s : s + n]
+                if mode == "labels":
+                    found = _unlike(f, v, label[0][s : s + n], radius) if n > 1 else []
+                elif first[s] != second[s]:
+                    found = _cross(f, v, part[s : s + n], radius, mode == "stars")
+                elif n <= SMALL_BUCKET:
+                    continue
+                else:
+                    found = _stars(f, v, radius) if mode == "stars" else _walk(f, v, radius)
+                if out := _edges(found, 1):
+                    yield out
 
     return run
 
 
-def fingerprint_links(reps: DataFrame, radius: int = 4, axes: int | None = None) -> DataFrame:
-    """Edges ``(u, v)`` between nodes of ``(fp, node)``: enough of them to connect
-    all fingerprints that chains of links within ``radius`` connect (a bucket
-    yields the stars of its components, never all its pairs)."""
-    axes = axes or choose_axes(reps.count(), radius)
-    cells = reps.select("fp", "node").mapInArrow(_cells(axes, radius), "cell bigint, fp bigint, node bigint")
-    parts = int(reps.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    dealt = cells.repartition(parts, "cell").sortWithinPartitions("cell")
-    return dealt.mapInArrow(_bucket_edges(radius), "u bigint, v bigint")
+def _large_buckets(reps: DataFrame, n: int, radius: int, axes: int) -> DataFrame | None:
+    """``cell, parts`` of buckets of more than ``BUCKET_ROWS`` rows, as one fingerprint in
+    ``SEEN`` shows them.  One that it does not show is compared whole by one task."""
+    if n <= BUCKET_ROWS:
+        return None
+    some = reps.where(F.pmod(F.xxhash64("node"), F.lit(SEEN)) == 0)
+    counted = _cell_rows(some, radius, axes).groupBy("cell").agg(F.count("*").alias("n")).where(F.col("n") * SEEN > BUCKET_ROWS)
+    large = materialise(counted.select("cell", F.ceil(F.col("n") * SEEN / BUCKET_ROWS).cast("int").alias("parts")), "large-buckets")
+    return large if large.limit(1).count() else None
+
+
+def _dealt(cells: DataFrame, large: DataFrame | None) -> DataFrame:
+    """Rows of ``(cell, fp, node, ...)`` by bucket, those of large ones by every pair of their parts."""
+    rest = [c for c in cells.columns if c not in ("cell", "fp", "node")]
+    if large is None:
+        rows = cells.select("cell", *[F.lit(0).alias(c) for c in ("i", "j", "part")], "fp", "node", *rest)
+    else:
+        few = F.broadcast(large) if large.limit(BROADCAST_CELLS + 1).count() <= BROADCAST_CELLS else large
+        sized = cells.join(few, "cell", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
+        parted = sized.withColumn("part", F.pmod(F.xxhash64("node", F.lit(1)), F.col("parts")).cast("int"))
+        other = parted.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
+        rows = other.select("cell", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "fp", "node", *rest)
+    parts = int(cells.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    return rows.repartition(parts, "cell", "i", "j").sortWithinPartitions("cell", "i", "j")
+
+
+def _cell_rows(reps: DataFrame, radius: int, axes: int) -> DataFrame:
+    word = F.col("word") if "word" in reps.columns else F.lit(0).alias("word")
+    return reps.select("fp", "node", word).mapInArrow(_cells(axes, radius), "cell bigint, fp bigint, node bigint")
+
+
+def fingerprint_links(reps: DataFrame, radius: int = 4, axes: int | None = None, n: int | None = None, mode: str = "components") -> DataFrame:
+    """Edges ``(u, v, big)`` between nodes of ``(fp, node)``, or of ``(fp, node, word)``.
+
+    By default they are enough to connect all fingerprints that chains of links
+    within ``radius`` connect (a bucket yields the stars of its components, never
+    all its pairs).
+    """
+    n = reps.count() if n is None else n
+    axes = axes or choose_axes(n, radius)
+    cells = _cell_rows(reps, radius, axes)
+    return _dealt(cells, _large_buckets(reps, n, radius, axes)).mapInArrow(_bucket_edges(radius, mode), EDGE)
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = 4, radius: int = 4) -> DataFrame:
@@ -214,14 +357,129 @@ def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id",
     return marks.join(named, "fp", "left").select("doc_id", "fp", "component_id")
 
 
+def _single(docs: DataFrame, doc_id: str) -> DataFrame:
+    """Rows that repeat an id count as copies of each other: one stays."""
+    named = docs.where(F.col(doc_id).isNotNull())
+    if named.groupBy(doc_id).count().where("count > 1").limit(1).count():
+        return named.dropDuplicates([doc_id]).unionByName(docs.where(F.col(doc_id).isNull()))
+    return docs
+
+
+def _without(docs: DataFrame, doc_id: str, marks: DataFrame) -> DataFrame:
+    gone = marks.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
+    return docs.join(gone, docs[doc_id] == gone["__gone"], "left_anti")
+
+
 def keep_one_per_group(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = 4, radius: int = 4) -> DataFrame:
     """The rows of ``docs`` whose id is the smallest of its near-duplicate group.
 
     Rows with a null id stay (nothing can name their group).  Rows that repeat
     an id count as copies of each other: one stays.
     """
-    if docs.where(F.col(doc_id).isNotNull()).groupBy(doc_id).count().where("count > 1").limit(1).count():
-        docs = docs.where(F.col(doc_id).isNotNull()).dropDuplicates([doc_id]).unionByName(docs.where(F.col(doc_id).isNull()))
-    marks = near_duplicates(docs, text, doc_id, k, radius)
-    gone = marks.where("doc_id <> component_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, docs[doc_id] == gone["__gone"], "left_anti")
+    docs = _single(docs, doc_id)
+    return _without(docs, doc_id, near_duplicates(docs, text, doc_id, k, radius))
+
+
+# near copies by the similarity of shingle sets
+
+
+MIX = (np.uint64(0xBF58476D1CE4E5B9), np.uint64(0x94D049BB133111EB), np.uint64(0x9E3779B97F4A7C15))
+
+
+def _mixed(x: np.ndarray) -> np.ndarray:
+    x = (x ^ (x >> np.uint64(30))) * MIX[0]
+    x = (x ^ (x >> np.uint64(27))) * MIX[1]
+    return x ^ (x >> np.uint64(31))
+
+
+def shingle_hashes(words: list[bytes], k: int) -> np.ndarray:
+    """Distinct 64-bit hashes of runs of ``k`` words; fewer words make one run, none make none."""
+    if not words:
+        return np.zeros(0, np.uint64)
+    h = np.array([xxhash.xxh64_intdigest(w, SEED) for w in words], np.uint64)
+    k = min(k, len(h))
+    out = np.zeros(len(h) - k + 1, np.uint64)
+    for i in range(k):
+        out = _mixed(out * MIX[2] + h[i : len(h) - k + 1 + i])
+    return np.unique(out)
+
+
+def _wide_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    """(doc_id, text) -> (doc_id, key, fps): a digest of the words, and ``WORDS`` fingerprints of the word pairs."""
+    for batch in batches:
+        keys, fps = [], []
+        for x in batch.column(1):
+            words = (x.as_py() or "").encode("utf-8", "surrogatepass").lower().split()
+            keys.append(xxhash.xxh3_128_digest(b" ".join(words)))
+            pairs = shingle_hashes(words, 2)
+            for w in range(WORDS):
+                hashes = _mixed(pairs + MIX[2] * np.uint64(w + 1))
+                counts = np.zeros(64, np.int64)
+                for i in range(0, len(hashes), 1 << 16):
+                    counts += np.unpackbits(hashes[i : i + (1 << 16)].view(np.uint8).reshape(-1, 8), axis=1, bitorder="little").sum(0, dtype=np.int64)
+                fps.append(np.packbits(counts * 2 > len(hashes), bitorder="little").view(np.int64)[0])
+        fixed = pa.ListArray.from_arrays(pa.array(np.arange(0, len(fps) + 1, WORDS, dtype=np.int32)), pa.array(np.array(fps, np.int64)))
+        yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(keys, pa.binary()), fixed], names=["doc_id", "key", "fps"])
+
+
+def _set_batches(k: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            sets = [shingle_hashes((x.as_py() or "").encode("utf-8", "surrogatepass").lower().split(), k).view(np.int64) for x in batch.column(1)]
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(sets, pa.list_(pa.int64()))], names=["node", "elems"])
+
+    return run
+
+
+def _alike(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """``(u, v)`` of ``pairs`` whose sets' intersection is at least ``similarity`` of their union."""
+    left, right = sets.toDF("u", "a"), sets.toDF("v", "b")
+    met = pairs.where("u <> v").select("u", "v").distinct().join(left, "u").join(right, "v")
+    sized = met.where(F.least(F.size("a"), F.size("b")) >= similarity * F.greatest(F.size("a"), F.size("b")))
+    common = F.size(F.array_intersect("a", "b"))
+    return sized.withColumn("n", common).where(F.col("n") >= similarity * (F.size("a") + F.size("b") - F.col("n")) - 1e-9).select("u", "v")
+
+
+def similar_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = SHINGLE, similarity: float = SIMILARITY, radius: int = WORD_RADIUS) -> DataFrame:
+    """``(doc_id, component_id)`` of rows with an id: the smallest id that chains of
+    documents reach whose sets of ``k``-word shingles are ``similarity`` alike.
+
+    Candidates lie within ``radius`` bits in one of ``WORDS`` fingerprints; each is
+    decided on its shingle sets.  In large buckets, rows meet a centre first; then
+    those that this left in different groups meet each other.  Texts of the same
+    words are one, texts without words too.
+    """
+    rows = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"))
+    marks = materialise(rows.mapInArrow(_wide_batches, "doc_id bigint, key binary, fps array<bigint>"), "fingerprints")
+    reps = materialise(marks.groupBy("key").agg(F.min("doc_id").alias("node"), F.first("fps").alias("fps")), "distinct-texts")
+    n = reps.count()
+    each = reps.select("node", F.posexplode("fps").alias("word", "fp"))
+    axes = choose_axes(n, radius)
+    found = materialise(fingerprint_links(each, radius, axes, n, "stars"), "candidates")
+    ends = found.select(F.col("u").alias("node")).unionByName(found.select(F.col("v").alias("node"))).distinct()
+    texts = rows.join(ends, rows["doc_id"] == ends["node"], "left_semi").select("doc_id", "text")
+    sets = materialise(texts.mapInArrow(_set_batches(k), "node bigint, elems array<bigint>"), "shingle-sets")
+    links = materialise(_alike(found, sets, similarity), "alike")
+    hot = found.where("big = 1").select(F.col("u").alias("node")).unionByName(found.where("big = 1").select(F.col("v").alias("node"))).distinct()
+    if hot.limit(1).count():
+        named = hot.join(connected_components(links), "node", "left").select("node", F.coalesce("component", "node").alias("label"))
+        cells = _cell_rows(each.join(named.select("node"), "node", "left_semi"), radius, axes)
+        labelled = _dealt(cells.join(named, "node").select("cell", "fp", "node", "label"), None)
+        more = materialise(labelled.mapInArrow(_bucket_edges(radius, "labels"), EDGE), "candidates")
+        links = links.unionByName(materialise(_alike(more, sets, similarity), "alike"))
+        discard(more)
+    comps = connected_components(links)
+    classes = reps.join(comps, "node", "left").select("key", F.coalesce("component", "node").alias("component_id"))
+    out = materialise(marks.join(classes, "key").select("doc_id", "component_id"), "groups")
+    for done in (marks, reps, found, sets):
+        discard(done)
+    return out
+
+
+def keep_similar_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = SHINGLE, similarity: float = SIMILARITY) -> DataFrame:
+    """The rows of ``docs`` whose id is the smallest of its group of near copies.
+
+    Rows with a null id stay; of rows that repeat an id, one stays.
+    """
+    docs = _single(docs, doc_id)
+    return _without(docs, doc_id, similar_groups(docs, text, doc_id, k, similarity))

@@ -1,4 +1,5 @@
 import random
+from math import comb
 
 import numpy as np
 import xxhash
@@ -66,6 +67,90 @@ def test_links_are_whole_for_every_number_of_axes(spark):
     for axes in (5, 6, 8):
         got = {r.node: r.component for r in connected_components(simhash.fingerprint_links(reps, 4, axes)).collect()}
         assert {i: got.get(i, i) for i in range(len(fps))} == want
+    near = np.argwhere(np.bitwise_count(fps[:, None] ^ fps[None, :]) <= 6)
+    want = forest((int(a), int(b)) for a, b in near)
+    got = {r.node: r.component for r in connected_components(simhash.fingerprint_links(reps, 6)).collect()}
+    assert {i: got.get(i, i) for i in range(len(fps))} == want
+
+
+def test_large_buckets_in_parts(spark, monkeypatch):
+    """Buckets dealt out as blocks of parts give the same components."""
+    monkeypatch.setattr(simhash, "BUCKET_ROWS", 40)
+    monkeypatch.setattr(simhash, "SEEN", 1)
+    rng = np.random.default_rng(5)
+    flips = np.array([np.bitwise_or.reduce(np.left_shift(np.uint64(1), rng.choice(24, 5, replace=False).astype(np.uint64))) for _ in range(700)], np.uint64)
+    fps = np.unique(np.concatenate([flips, rng.integers(0, 1 << 63, 200, dtype=np.uint64)]))
+    near = np.argwhere(np.bitwise_count(fps[:, None] ^ fps[None, :]) <= 4)
+    want = forest((int(a), int(b)) for a, b in near)
+    reps = spark.createDataFrame(list(zip(fps.view(np.int64).tolist(), range(len(fps)), strict=True)), "fp bigint, node bigint")
+    assert simhash._large_buckets(reps, len(fps), 4, 6).count()
+    got = {r.node: r.component for r in connected_components(simhash.fingerprint_links(reps, 4)).collect()}
+    assert {i: got.get(i, i) for i in range(len(fps))} == want
+
+
+def test_manhattan_bound_and_rows():
+    rng = np.random.default_rng(9)
+    a, b = rng.integers(0, 1 << 64, (2, 4000), dtype=np.uint64)
+    b[:2000] = a[:2000] ^ (np.uint64(1) << rng.integers(0, 64, 2000, dtype=np.uint64)) ^ (np.uint64(1) << rng.integers(0, 64, 2000, dtype=np.uint64))
+    slow = np.abs(simhash.segment_counts(a).astype(int) - simhash.segment_counts(b).astype(int)).sum(1)
+    fast = np.bitwise_count(simhash.unary_counts(a) ^ simhash.unary_counts(b))
+    assert (slow == fast).all() and (fast <= np.bitwise_count(a ^ b)).all()
+    assert comb(simhash.choose_axes(10**10, 4), 4) < 50
+
+
+def shingle_set(text):
+    w = (text or "").encode().lower().split()
+    return frozenset(tuple(w[i : i + 5]) for i in range(max(1, len(w) - 4))) if w else frozenset()
+
+
+def test_similar_groups_against_brute_force(spark):
+    """All groups of five-word similarity 0.8 or more, on documents and edited copies."""
+    rows = [(r.doc_id, r.text) for r in spark.read.parquet("/root/testdata/sf0.01/documents.parquet").select("doc_id", "text").collect()]
+    rng, more = random.Random(7), []
+    for i, (_, t) in enumerate(rows[:150]):
+        words = (t or "").split(" ")
+        for _ in range(len(words) // 60):
+            words[rng.randrange(len(words))] = "changed"
+        more.append((10_000 + i, " ".join(words)))
+    rows += more
+    sets = [shingle_set(t) for _, t in rows]
+    by: dict = {}
+    for n, s in enumerate(sets):
+        for x in s:
+            by.setdefault(x, []).append(n)
+    near = {(a, b) for at in by.values() for a in at for b in at if a < b}
+    links = {(a, b) for a, b in near if len(sets[a] & sets[b]) >= 0.8 * len(sets[a] | sets[b])}
+    links |= {(n, n) for n in range(len(rows))}
+    got = {r.doc_id: r.component_id for r in simhash.similar_groups(docs_frame(spark, rows)).collect()}
+    together = [got[rows[a][0]] == got[rows[b][0]] for a, b in links if a != b]
+    assert len(together) > 100 and sum(together) >= 0.97 * len(together), (sum(together), len(together))
+    group = forest(iter(links))
+    for n, (i, _) in enumerate(rows):  # nothing is joined that is not alike
+        root = next(m for m, (j, _) in enumerate(rows) if j == got[i])
+        assert group[n] == group[root] or not sets[n]
+
+
+def test_groups_of_near_copies_of_any_size(spark, monkeypatch):
+    monkeypatch.setattr(simhash, "SMALL_BUCKET", 8)
+    rng = random.Random(3)
+    base = [f"w{rng.randrange(5000)}" for _ in range(200)]
+    rows = []
+    for i in range(300):
+        words = list(base)
+        for _ in range(i % 4):
+            words[rng.randrange(200)] = f"x{i}"
+        rows.append((i, " ".join(words)))
+    rows += [(1000 + i, " ".join(f"w{rng.randrange(5000)}" for _ in range(100))) for i in range(50)]
+    got = {r.doc_id: r.component_id for r in simhash.similar_groups(docs_frame(spark, rows)).collect()}
+    assert [got[i] for i in range(300)] == [0] * 300 and all(got[1000 + i] == 1000 + i for i in range(50))
+
+
+def test_similar_groups_edges(spark):
+    got = sorted((r.doc_id, r.component_id) for r in simhash.similar_groups(docs_frame(spark, EDGES)).collect())
+    assert got == [(1, 1), (2, 1), (3, 3), (4, 3), (4, 3), (6, 6), (7, 7), (8, 1), (9, 9)]
+    assert simhash.similar_groups(docs_frame(spark, [])).count() == 0
+    kept = sorted((r.doc_id for r in simhash.keep_similar_groups(docs_frame(spark, EDGES)).collect()), key=repr)
+    assert kept == [1, 3, 6, 7, 9, None]
 
 
 def test_large_bucket_is_walked(spark):

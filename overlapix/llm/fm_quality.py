@@ -150,7 +150,7 @@ def _feature_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBat
         yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([s.tobytes() for s, _ in rows], pa.binary()), pa.array([v.tobytes() for _, v in rows], pa.binary())], names=["doc_id", "slots", "values"])
 
 
-def _score_batches(model: Model) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+def _score_batches(model: Model, name: str) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         known: dict[str, int] = {}
         for batch in batches:
@@ -161,7 +161,7 @@ def _score_batches(model: Model) -> Callable[[Iterator[pa.RecordBatch]], Iterato
                 starts = np.concatenate([[0], np.cumsum([len(s) for s, _ in rows])[:-1]]).astype(int)
                 out.append(model.score(np.concatenate([s for s, _ in rows]), np.concatenate([v for _, v in rows]), starts))
             score = np.concatenate(out) if out else np.zeros(0)
-            yield pa.RecordBatch.from_arrays([*batch.columns[2:], pa.array(score, pa.float64())], names=[*batch.schema.names[2:], "score"])
+            yield pa.RecordBatch.from_arrays([*batch.columns[2:], pa.array(score, pa.float64())], names=[*batch.schema.names[2:], name])
 
     return run
 
@@ -191,9 +191,9 @@ def train(docs: DataFrame, labels: DataFrame, text: str = "text", doc_id: str =
     return fit([(np.frombuffer(bytes(r["slots"]), np.int32), np.frombuffer(bytes(r["values"]), np.float32), int(y[r.doc_id] == 1)) for r in made])
 
 
-def scored(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",), text: str = "text") -> DataFrame:
-    """``keep`` columns and ``score`` (0 to 1), one row per input row, nulls and
-    empty texts included."""
+def scored(docs: DataFrame, model: Model, keep: tuple[str, ...] = ("doc_id",), text: str = "text", name: str = "score") -> DataFrame:
+    """``keep`` columns and the score (0 to 1) as ``name``, one row per input row,
+    nulls and empty texts included."""
     kept = docs.select(*keep)
-    ddl = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields), "score double"])
-    return docs.select(*_texts(docs, text), *keep).mapInArrow(_score_batches(model), ddl)
+    ddl = ", ".join([*(f"`{f.name}` {f.dataType.simpleString()}" for f in kept.schema.fields), f"`{name}` double"])
+    return docs.select(*_texts(docs, text), *keep).mapInArrow(_score_batches(model, name), ddl)

@@ -20,6 +20,30 @@ def test_pipeline_stages_act(spark):
     assert not [r for r in left.values() if any(sound for *_, sound in queries.pii.matches(r.text))]
 
 
+ODD = [(1, None), (2, ""), (3, "one two"), (3, "one two"), (None, "mail a@b.example.com now"), (None, None), (7, "word " * 40_000), (8, " \n "), (9, "Ünïcode text +1 (826) 555-4081 end")]
+
+
+def test_every_stage_takes_odd_rows(spark):
+    """Nulls, empty and very long texts, rows that repeat, clashing columns and empty tables at each stage."""
+    schema = "doc_id bigint, text string, lang string, source string, n_chars bigint, score double, fp bigint, hit string"
+    docs = spark.createDataFrame([(i, t, None, "s", len(t or ""), 2.0, 5, "h") for i, t in ODD], schema)
+    for name, stage in corpus_pipeline.STAGES:
+        done = stage(spark, docs, ROOT)
+        rows = done.collect()
+        assert len(rows) <= len(ODD) and stage(spark, docs.limit(0), ROOT).count() == 0, name
+        if name != corpus_pipeline.STAGES[-1][0]:
+            assert done.columns == docs.columns
+            assert all((r.score, r.fp, r.hit) == (2.0, 5, "h") for r in rows)
+        else:
+            assert all(r.round_trip for r in rows)
+        if name not in ("quality classifier", "SimHash near-dedup"):
+            assert len(rows) == len(ODD), name
+    kept = sorted((r.doc_id for r in corpus_pipeline.near_dedup(spark, docs, ROOT).collect()), key=repr)
+    assert kept == [1, 3, 7, 9, None, None]
+    texts = {r.doc_id: r.text for r in corpus_pipeline.personal_data(spark, docs, ROOT).collect()}
+    assert texts[9] == "Ünïcode text <PHONE> end" and texts[1] is None and len(texts[7]) == 200_000
+
+
 def test_every_query_has_its_columns(spark):
     want = {
         "op1": "doc_id fingerprint component_id", "op2": "page_id url text n_chars", "op3": "doc_id n_tokens", "op4": "vec_id n_links component_id kept",

@@ -11,6 +11,8 @@ from pyspark.sql import functions as F
 from overlapix.llm.storage import discard, materialise
 
 EDGE = "u bigint, v bigint"
+#: Edges that one task contracts; a table of no more needs no rounds.
+CHUNK = 200_000
 
 
 def forest(pairs: Iterator[tuple[int, int]]) -> dict[int, int]:
@@ -35,11 +37,24 @@ def forest(pairs: Iterator[tuple[int, int]]) -> dict[int, int]:
 
 
 def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-    """Replace the edges of each bounded chunk by the stars of their components."""
+    """Replace the edges of each chunk of at most ``CHUNK`` or one batch by the stars of their components."""
+    held: list[pa.RecordBatch] = []
+    count = 0
+
+    def stars() -> pa.RecordBatch:
+        pairs = ((a, b) for batch in held for a, b in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True))
+        kept = [(x, r) for x, r in forest(pairs).items() if x != r]
+        held.clear()
+        return pa.RecordBatch.from_arrays([pa.array([x for x, _ in kept], pa.int64()), pa.array([r for _, r in kept], pa.int64())], names=["u", "v"])
+
     for batch in batches:
-        stars = forest(zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), strict=True))
-        kept = [(x, r) for x, r in stars.items() if x != r]
-        yield pa.RecordBatch.from_arrays([pa.array([x for x, _ in kept], pa.int64()), pa.array([r for _, r in kept], pa.int64())], names=["u", "v"])
+        if held and count + batch.num_rows > CHUNK:
+            yield stars()
+            count = 0
+        held.append(batch)
+        count += batch.num_rows
+    if held:
+        yield stars()
 
 
 def _with_least(edges: DataFrame, total: int) -> tuple[DataFrame, DataFrame]:
@@ -73,14 +88,19 @@ def connected_components(edges: DataFrame, max_rounds: int = 60) -> DataFrame:
     """``(u, v)`` edges -> ``(node, component)`` for every node that has an edge.
 
     ``component`` is the smallest node reachable.  Edges are first contracted
-    per Arrow batch, then alternate large- and small-star rounds run until the
-    edge set stops changing; each round is written to the shared folder, so a
-    lost executor costs one round.  Self-loops and repeats are ignored; an
-    empty table gives an empty result.
+    in chunks inside tasks; where one chunk holds what is left, one task ends the
+    work.  Else alternate large- and small-star rounds run until the edge set stops
+    changing; each round is written to the shared folder, so a lost executor costs
+    one round.  Self-loops and repeats are ignored; an empty table gives an empty
+    result.
     """
     clean = edges.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).where("u > v")
     now = materialise(clean.mapInArrow(_contract, EDGE).distinct(), "edges")
     seen = _digest(now)
+    if seen[0] <= CHUNK:
+        last = materialise(now.coalesce(1).mapInArrow(_contract, EDGE), "edges")
+        discard(now)
+        now, seen = last, (0, 0)
     for _ in range(max_rounds):
         if not seen[0]:
             break

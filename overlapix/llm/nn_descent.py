@@ -8,8 +8,9 @@
    similarity beats an end's worst neighbour are proposed to it.
 4. A list of ``k`` links only is saturated: its node may have more, and closer
    copies may hide all of a looser group.  Saturated nodes search again, for
-   nodes outside their component of near links alone, until the lists of none
-   are saturated or no component gains a link.
+   nodes outside their component of near links alone: in blocks, all with all,
+   where they are few, else by descent, until the lists of none are saturated or
+   no component gains a link.
 5. An audit compares a set of nodes, which grows with the table, with all others
    in blocks; below the wanted recall, ``k`` doubles, new tables of projections
    come in and the rounds go on, up to whole lists.
@@ -40,12 +41,14 @@ BUCKET_BITS = 32
 BESIDE = 6
 ROUNDS = 7
 #: Rounds end when fresh edges fall below this share of all.
-SETTLED = 0.01
+SETTLED = 0.03
 AUDIT_NODES = 48
 #: Audited nodes are so many square roots of the table, first and at most; more are taken while they show fewer links than AUDIT_NODES.
 AUDIT_ROOTS = (2, 8)
 RECALL = 0.98
 BLOCK_ROWS = 1024
+#: Saturated nodes up to this number are compared with each other in blocks.
+EXACT_NODES = 1 << 15
 SEED = 20_011
 
 EDGE = "u bigint, v bigint, s float, fresh int"
@@ -185,7 +188,7 @@ def refine(graph: DataFrame, codes: DataFrame, k: int, inner: DataFrame | None =
     nodes = codes.join(low, codes["node"] == low["u"], "left").select("node", "code", "comp", F.coalesce("low", F.lit(-1.0)).cast("float").alias("low"))
     back = F.row_number().over(Window.partitionBy("v").orderBy(F.desc("fresh"), F.desc("s"), "u"))
     reverse = graph.withColumn("r", back).where(F.col("r") <= k).select(F.col("v").alias("c"), F.col("u").alias("m"), "fresh")
-    itself = graph.select(F.col("u").alias("c"), F.col("u").alias("m"), F.lit(0).alias("fresh")).distinct()
+    itself = codes.select(F.col("node").alias("c"), F.col("node").alias("m"), F.lit(0).alias("fresh"))
     meet = graph.select(F.col("u").alias("c"), F.col("v").alias("m"), "fresh").unionByName(reverse).unionByName(itself)
     if inner is not None:
         meet = meet.unionByName(inner.select(F.col("u").alias("c"), F.col("v").alias("m"), F.lit(0).alias("fresh")))
@@ -330,6 +333,31 @@ def grown_audit(vectors: DataFrame, threshold: float, n: int) -> DataFrame:
         nodes *= 2
 
 
+def _meet_blocks(bar: float) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """(d, i, j, own, node, comp, code) groups -> near edges between components, one
+    for each node and component that it meets there."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for (_, first, second, own, node, comp, code), starts in whole_groups(batches, 3):
+            for a, b in zip(starts, [*starts[1:], len(node)], strict=True):
+                x, v, c, o = _code_unit(code[a:b]), node[a:b], comp[a:b], own[a:b]
+                p, q = np.flatnonzero(o == first[a]), np.flatnonzero(o == second[a])
+                i, j = np.nonzero((x[p] @ x[q].T >= bar) & (c[p][:, None] != c[q][None, :]))
+                _, one = np.unique(np.stack([v[p][i], c[q][j]]), axis=1, return_index=True)
+                yield pa.RecordBatch.from_arrays([pa.array(v[p][i][one]), pa.array(v[q][j][one])], names=["u", "v"])
+
+    return run
+
+
+def meet_in_blocks(nodes: DataFrame, n: int, bar: float) -> DataFrame:
+    """``(u, v)``: near edges between components of ``(node, code, comp)``, by all pairs of blocks."""
+    blocks = max(1, -(-n // (2 * BLOCK_ROWS)))
+    own = nodes.withColumn("own", F.pmod(F.xxhash64("node"), F.lit(blocks)).cast("int"))
+    other = own.withColumn("other", F.explode(F.sequence(F.lit(0), F.lit(blocks - 1))))
+    rows = other.select(F.length("code").alias("d"), F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "node", "comp", "code")
+    return rows.repartition("d", "i", "j").sortWithinPartitions("d", "i", "j").mapInArrow(_meet_blocks(bar), "u bigint, v bigint")
+
+
 def join_saturated(graph: DataFrame, nodes: DataFrame, bar: float, k: int) -> DataFrame:
     """Near edges ``(u, v)`` of ``graph``, and of lists of nodes outside their own
     component for those whose ``k`` neighbours are all near.
@@ -350,6 +378,8 @@ def join_saturated(graph: DataFrame, nodes: DataFrame, bar: float, k: int) -> Da
         if still.select("comp").distinct().limit(2).count() < 2:
             return near
         n = still.count()
+        if n <= EXACT_NODES:
+            return near.unionByName(materialise(meet_in_blocks(still, n, bar), "near"))
         latest = settle(materialise(first_graph(still, k, n, turn), "graph"), still, k, n, graph)
         links = materialise(latest.where(F.col("s") >= bar).select("u", "v"), "near")
         if not links.limit(1).count():

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 from collections.abc import Iterator
 
+import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -57,6 +58,18 @@ def _contract(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         yield stars()
 
 
+def least_labels(near: np.ndarray, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """The smallest node that each end of a block's links reaches by them."""
+    most = np.iinfo(np.int64).max
+    while near.any():
+        to_right = np.minimum(right, np.where(near, left[:, None], most).min(0))
+        to_left = np.minimum(left, np.where(near, to_right[None, :], most).min(1))
+        if (to_right == right).all() and (to_left == left).all():
+            break
+        left, right = to_left, to_right
+    return left, right
+
+
 def _with_least(edges: DataFrame, total: int) -> tuple[DataFrame, DataFrame]:
     """Edges with ``m``, the least ``v`` of their ``u``, and (u, m) alone.
 

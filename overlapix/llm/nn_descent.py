@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from overlapix.llm.arrow_groups import whole_groups
-from overlapix.llm.components import connected_components
+from overlapix.llm.components import connected_components, least_labels
 from overlapix.llm.storage import discard, materialise
 
 MARGIN = 0.015
@@ -262,7 +262,7 @@ def _pairs(threshold: float) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa
                     links[at] += near @ w[q]
                     if not same:
                         links[q] += near.T @ w[at]
-                    low_p, low_q = _least_labels(near, n[at], n[q])
+                    low_p, low_q = least_labels(near, n[at], n[q])
                     ends, stars = np.concatenate([n[at], n[q]]), np.concatenate([low_p, low_q])
                     moved = ends != stars
                     yield _found(ends[moved], np.zeros(moved.sum(), np.int64), stars[moved])
@@ -271,18 +271,6 @@ def _pairs(threshold: float) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa
     return run
 
 
-def _least_labels(near: np.ndarray, left: np.ndarray, right: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    """The smallest node that each end of a block's links reaches by them."""
-    most = np.iinfo(np.int64).max
-    while near.any():
-        to_right = np.minimum(right, np.where(near, left[:, None], most).min(0))
-        to_left = np.minimum(left, np.where(near, to_right[None, :], most).min(1))
-        if (to_right == right).all() and (to_left == left).all():
-            break
-        left, right = to_left, to_right
-    return left, right
-
-
 def _found(u: np.ndarray, links: np.ndarray, v: np.ndarray) -> pa.RecordBatch:
     return pa.RecordBatch.from_arrays([pa.array(u, pa.int64()), pa.array(links, pa.int64()), pa.array(v, pa.int64())], names=["node", "links", "v"])
 

@@ -32,7 +32,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from overlapix.llm.arrow_groups import whole_groups
-from overlapix.llm.components import connected_components
+from overlapix.llm.components import connected_components, least_labels
 from overlapix.llm.storage import discard, materialise
 
 SEED = 42
@@ -43,6 +43,8 @@ SEGMENTS = 64 // SEGMENT_BITS
 SEGMENT_ENTROPY = 1.415
 #: Buckets above this size are walked by search from seeds instead of by lags.
 SMALL_BUCKET = 128
+#: Near pairs a row up to which a small bucket gives them all, where pairs are to be decided on sets.
+PAIRS_A_ROW = 4
 #: Comparisons held in memory at once.
 BLOCK = 1 << 21
 #: Rows of a bucket, or of a part of one, that a task compares.
@@ -51,6 +53,8 @@ BUCKET_ROWS = 20_000
 SEEN, BROADCAST_CELLS = 64, 200_000
 #: Work of a comparison against that of a bucket row, which is written, sent, sorted and read.
 COMPARISON = 1e-4
+#: Shingle sets that a task compares with as many others.
+SET_BLOCK = 512
 #: Near copies by shingle sets: fingerprints a text, differing bits of one of them, and shingles.
 WORDS, WORD_RADIUS, SHINGLE, SIMILARITY = 4, 5, 5, 0.8
 
@@ -178,12 +182,11 @@ def _walk(fps: np.ndarray, nodes: np.ndarray, radius: int) -> Pairs:
 
 
 def _stars(fps: np.ndarray, nodes: np.ndarray, radius: int) -> Pairs:
-    """Rows of a large bucket, each linked to a centre that it is near to, and to
-    itself, so that all are named.  A centre is the row nearest to the majority of
-    what is left, the text that most copies come from, while such rows have others
-    near them, and then the first that is left."""
+    """Rows of a large bucket, each linked to a centre that it is near to.  A centre is
+    the row nearest to the majority of what is left, the text that most copies come
+    from, while such rows have others near them, and then the first that is left."""
     left = np.arange(len(fps))
-    out = [(nodes, nodes)]
+    out = []
     middling = True
     while len(left) > 1:
         centre = left[0]
@@ -194,34 +197,23 @@ def _stars(fps: np.ndarray, nodes: np.ndarray, radius: int) -> Pairs:
         near = _near(fps[left], fps[centre], radius)
         star = left[near]
         middling = middling and len(star) > 1
+        star = star[star != centre]
         out.append((nodes[star], np.full(len(star), nodes[centre])))
         left = left[~near]
     return out
 
 
-def _unlike(fps: np.ndarray, nodes: np.ndarray, label: np.ndarray, radius: int) -> Pairs:
-    """Near pairs of different labels, in blocks; the rows of the commonest label are not compared with each other."""
-    values, which, counts = np.unique(label, return_inverse=True, return_counts=True)
-    main = which == np.argmax(counts)
-    rows, out = np.flatnonzero(~main), []
-    step = max(1, BLOCK // max(1, len(fps)))
-    for i in range(0, len(rows), step):
-        at = rows[i : i + step]
-        a, b = np.nonzero(_near(fps[at, None], fps[None, :], radius) & (label[at, None] != label[None, :]))
-        out.append((nodes[at[a]], nodes[b]))
-    return out
-
-
-def _lagged(cell: np.ndarray, fps: np.ndarray, nodes: np.ndarray, radius: int) -> Pairs:
-    """All near pairs of small buckets, by lags over the sorted rows."""
-    out = []
+def _lagged(cell: np.ndarray, fps: np.ndarray, radius: int) -> tuple[np.ndarray, np.ndarray]:
+    """Places of all near pairs of small buckets, by lags over the sorted rows."""
+    none = np.zeros(0, np.int64)
+    out = [(none, none)]
     for lag in range(1, SMALL_BUCKET):
         at = np.flatnonzero(cell[lag:] == cell[:-lag])
         if not len(at):
             break
         at = at[_near(fps[at], fps[at + lag], radius)]
-        out.append((nodes[at], nodes[at + lag]))
-    return out
+        out.append((at, at + lag))
+    return np.concatenate([a for a, _ in out]), np.concatenate([b for _, b in out])
 
 
 def _cross(fps: np.ndarray, nodes: np.ndarray, part: np.ndarray, radius: int, stars: bool) -> Pairs:
@@ -263,32 +255,31 @@ def _edges(found: Pairs, big: int = 0) -> pa.RecordBatch | None:
     return pa.RecordBatch.from_arrays([pa.array(pairs[:, 0]), pa.array(pairs[:, 1]), pa.array(np.full(len(pairs), big, np.int32))], names=["u", "v", "big"])
 
 
-def _bucket_edges(radius: int, mode: str) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+def _bucket_edges(radius: int, stars: bool) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     """(cell, i, j, part, fp, node) groups -> edges.  Small buckets give all near
-    pairs.  Large ones give, by ``mode``, the stars of their ``components``, or those of
-    centres (``stars``), marked as ``big``; with a column of ``labels``, buckets of any
-    size give the near pairs of different labels."""
+    pairs.  Large ones give the stars of their components, marked by a ``big`` of 2,
+    and with ``stars`` those of centres too, marked by 1."""
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for (_, first, second, part, fps, nodes, *label), starts in whole_groups(batches, 3):
+        for (_, first, second, part, fps, nodes), starts in whole_groups(batches, 3):
             fps = fps.view(np.uint64)
             sizes = np.diff(np.concatenate([starts, [len(fps)]]))
-            if mode != "labels":
-                group = np.repeat(np.arange(len(starts)), sizes)
-                small = np.repeat(sizes <= SMALL_BUCKET, sizes) & (first == second)
-                if out := _edges(_lagged(group[small], fps[small], nodes[small], radius)):
+            group = np.repeat(np.arange(len(starts)), sizes)
+            apart = first[starts] != second[starts]
+            small = np.flatnonzero(np.repeat((sizes <= SMALL_BUCKET) & ~apart, sizes))
+            a, b = (small[x] for x in _lagged(group[small], fps[small], radius))
+            large = (sizes > SMALL_BUCKET) | apart
+            if stars:
+                dense = np.bincount(group[a], minlength=len(starts)) > PAIRS_A_ROW * sizes
+                large |= dense
+                a, b = a[~dense[group[a]]], b[~dense[group[a]]]
+            if out := _edges([(nodes[a], nodes[b])]):
+                yield out
+            for g in np.flatnonzero(large):
+                f, v, p = (x[starts[g] : starts[g] + sizes[g]] for x in (fps, nodes, part))
+                if out := _edges(_cross(f, v, p, radius, False) if apart[g] else _walk(f, v, radius), 2):
                     yield out
-            for s, n in zip(starts, sizes, strict=True):
-                f, v = fps[s : s + n], nodes[s : s + n]
-                if mode == "labels":
-                    found = _unlike(f, v, label[0][s : s + n], radius) if n > 1 else []
-                elif first[s] != second[s]:
-                    found = _cross(f, v, part[s : s + n], radius, mode == "stars")
-                elif n <= SMALL_BUCKET:
-                    continue
-                else:
-                    found = _stars(f, v, radius) if mode == "stars" else _walk(f, v, radius)
-                if out := _edges(found, 1):
+                if stars and (out := _edges(_cross(f, v, p, radius, True) if apart[g] else _stars(f, v, radius), 1)):
                     yield out
 
     return run
@@ -306,16 +297,15 @@ def _large_buckets(reps: DataFrame, n: int, radius: int, axes: int) -> DataFrame
 
 
 def _dealt(cells: DataFrame, large: DataFrame | None) -> DataFrame:
-    """Rows of ``(cell, fp, node, ...)`` by bucket, those of large ones by every pair of their parts."""
-    rest = [c for c in cells.columns if c not in ("cell", "fp", "node")]
+    """Rows of ``(cell, fp, node)`` by bucket, those of large ones by every pair of their parts."""
     if large is None:
-        rows = cells.select("cell", *[F.lit(0).alias(c) for c in ("i", "j", "part")], "fp", "node", *rest)
+        rows = cells.select("cell", *[F.lit(0).alias(c) for c in ("i", "j", "part")], "fp", "node")
     else:
         few = F.broadcast(large) if large.limit(BROADCAST_CELLS + 1).count() <= BROADCAST_CELLS else large
         sized = cells.join(few, "cell", "left").withColumn("parts", F.coalesce("parts", F.lit(1)))
         parted = sized.withColumn("part", F.pmod(F.xxhash64("node", F.lit(1)), F.col("parts")).cast("int"))
         other = parted.withColumn("other", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)))
-        rows = other.select("cell", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "fp", "node", *rest)
+        rows = other.select("cell", F.least("part", "other").alias("i"), F.greatest("part", "other").alias("j"), "part", "fp", "node")
     parts = int(cells.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     return rows.repartition(parts, "cell", "i", "j").sortWithinPartitions("cell", "i", "j")
 
@@ -325,17 +315,17 @@ def _cell_rows(reps: DataFrame, radius: int, axes: int) -> DataFrame:
     return reps.select("fp", "node", word).mapInArrow(_cells(axes, radius), "cell bigint, fp bigint, node bigint")
 
 
-def fingerprint_links(reps: DataFrame, radius: int = 4, axes: int | None = None, n: int | None = None, mode: str = "components") -> DataFrame:
+def fingerprint_links(reps: DataFrame, radius: int = 4, axes: int | None = None, n: int | None = None, stars: bool = False) -> DataFrame:
     """Edges ``(u, v, big)`` between nodes of ``(fp, node)``, or of ``(fp, node, word)``.
 
     By default they are enough to connect all fingerprints that chains of links
-    within ``radius`` connect (a bucket yields the stars of its components, never
-    all its pairs).
+    within ``radius`` connect (a large bucket yields the stars of its components,
+    never all its pairs).  With ``stars``, it yields those of centres as well.
     """
     n = reps.count() if n is None else n
     axes = axes or choose_axes(n, radius)
     cells = _cell_rows(reps, radius, axes)
-    return _dealt(cells, _large_buckets(reps, n, radius, axes)).mapInArrow(_bucket_edges(radius, mode), EDGE)
+    return _dealt(cells, _large_buckets(reps, n, radius, axes)).mapInArrow(_bucket_edges(radius, stars), EDGE)
 
 
 def near_duplicates(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = 4, radius: int = 4) -> DataFrame:
@@ -440,34 +430,75 @@ def _alike(pairs: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
     return sized.withColumn("n", common).where(F.col("n") >= similarity * (F.size("a") + F.size("b") - F.col("n")) - 1e-9).select("u", "v")
 
 
+def _set_blocks(similarity: float) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+    """(group, i, j, own, node, elems) groups -> stars of what the alike pairs between two blocks connect."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for (_, first, second, own, node, elems), starts in whole_groups(batches, 3, 2 * SET_BLOCK):
+            for a, b in zip(starts, [*starts[1:], len(node)], strict=True):
+                sizes = np.array([len(x) for x in elems[a:b]])
+                if not sizes.sum():
+                    continue
+                _, column, uses = np.unique(np.concatenate(elems[a:b]), return_inverse=True, return_counts=True)
+                shared = uses[column] > 1
+                row, column = np.repeat(np.arange(b - a), sizes)[shared], np.unique(column[shared], return_inverse=True)[1]
+                p, q = np.flatnonzero(own[a:b] == first[a]), np.flatnonzero(own[a:b] == second[a])
+                common = np.zeros((len(p), len(q)), np.float32)
+                for c in range(0, int(column.max(initial=-1)) + 1, 4096):
+                    here = (column >= c) & (column < c + 4096)
+                    x = np.zeros((b - a, 4096), np.float32)
+                    x[row[here], column[here] - c] = 1
+                    common += x[p] @ x[q].T
+                alike = common >= similarity * (sizes[p][:, None] + sizes[q][None, :] - common) - 1e-6
+                alike &= (sizes[p] > 0)[:, None]
+                low_p, low_q = least_labels(alike, node[a:b][p], node[a:b][q])
+                ends, low = np.concatenate([node[a:b][p], node[a:b][q]]), np.concatenate([low_p, low_q])
+                if out := _edges([(ends[ends != low], low[ends != low])]):
+                    yield out
+
+    return run
+
+
+def _left_apart(found: DataFrame, links: DataFrame, sets: DataFrame, similarity: float) -> DataFrame:
+    """Links inside candidate groups of large buckets that the links to centres leave in
+    several parts: of each group, all rows outside its largest part meet all rows."""
+    whole = connected_components(found.select("u", "v"))
+    hot = found.where("big > 0").select(F.col("u").alias("node")).distinct().join(whole, "node").select("component").distinct()
+    parts = connected_components(links).withColumnRenamed("component", "label")
+    members = whole.join(hot, "component", "left_semi").join(parts, "node", "left").select("component", "node", F.coalesce("label", "node").alias("label"))
+    members = materialise(members, "members")
+    sizes = members.groupBy("component", "label").agg(F.count("*").alias("n")).groupBy("component").agg(F.sum("n").alias("n"), F.max(F.struct("n", "label")).alias("most"))
+    sizes = sizes.where(F.col("n") > F.col("most.n")).select("component", F.col("most.label").alias("main"), F.ceil((F.col("n") - F.col("most.n")) / SET_BLOCK).cast("int").alias("few"), F.ceil(F.col("most.n") / SET_BLOCK).cast("int").alias("many"))
+    sized = members.join(sizes, "component").withColumn("outside", F.col("label") != F.col("main"))
+    hashed = F.xxhash64("node")
+    own = F.when(F.col("outside"), F.pmod(hashed, F.col("few"))).otherwise(F.col("few") + F.pmod(hashed, F.col("many"))).cast("int")
+    meets = F.sequence(F.lit(0), F.when(F.col("outside"), F.col("few") + F.col("many")).otherwise(F.col("few")) - 1)
+    rows = sized.withColumn("own", own).withColumn("other", F.explode(meets)).select("component", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"), "own", "node")
+    dealt = rows.join(sets, "node").select("component", "i", "j", "own", "node", "elems").repartition("component", "i", "j").sortWithinPartitions("component", "i", "j")
+    return dealt.mapInArrow(_set_blocks(similarity), EDGE).select("u", "v")
+
+
 def similar_groups(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", k: int = SHINGLE, similarity: float = SIMILARITY, radius: int = WORD_RADIUS) -> DataFrame:
     """``(doc_id, component_id)`` of rows with an id: the smallest id that chains of
     documents reach whose sets of ``k``-word shingles are ``similarity`` alike.
 
     Candidates lie within ``radius`` bits in one of ``WORDS`` fingerprints; each is
     decided on its shingle sets.  In large buckets, rows meet a centre first; then
-    those that this left in different groups meet each other.  Texts of the same
-    words are one, texts without words too.
+    those that this left outside the largest part meet the rest in blocks.  Texts of
+    the same words are one, texts without words too.
     """
     rows = docs.where(F.col(doc_id).isNotNull()).select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"))
     marks = materialise(rows.mapInArrow(_wide_batches, "doc_id bigint, key binary, fps array<bigint>"), "fingerprints")
     reps = materialise(marks.groupBy("key").agg(F.min("doc_id").alias("node"), F.first("fps").alias("fps")), "distinct-texts")
     n = reps.count()
     each = reps.select("node", F.posexplode("fps").alias("word", "fp"))
-    axes = choose_axes(n, radius)
-    found = materialise(fingerprint_links(each, radius, axes, n, "stars"), "candidates")
+    found = materialise(fingerprint_links(each, radius, choose_axes(n, radius), n, True), "candidates")
     ends = found.select(F.col("u").alias("node")).unionByName(found.select(F.col("v").alias("node"))).distinct()
     texts = rows.join(ends, rows["doc_id"] == ends["node"], "left_semi").select("doc_id", "text")
     sets = materialise(texts.mapInArrow(_set_batches(k), "node bigint, elems array<bigint>"), "shingle-sets")
-    links = materialise(_alike(found, sets, similarity), "alike")
-    hot = found.where("big = 1").select(F.col("u").alias("node")).unionByName(found.where("big = 1").select(F.col("v").alias("node"))).distinct()
-    if hot.limit(1).count():
-        named = hot.join(connected_components(links), "node", "left").select("node", F.coalesce("component", "node").alias("label"))
-        cells = _cell_rows(each.join(named.select("node"), "node", "left_semi"), radius, axes)
-        labelled = _dealt(cells.join(named, "node").select("cell", "fp", "node", "label"), None)
-        more = materialise(labelled.mapInArrow(_bucket_edges(radius, "labels"), EDGE), "candidates")
-        links = links.unionByName(materialise(_alike(more, sets, similarity), "alike"))
-        discard(more)
+    links = materialise(_alike(found.where("big < 2"), sets, similarity), "alike")
+    if found.where("big > 0").limit(1).count():
+        links = links.unionByName(materialise(_left_apart(found, links, sets, similarity), "alike"))
     comps = connected_components(links)
     classes = reps.join(comps, "node", "left").select("key", F.coalesce("component", "node").alias("component_id"))
     out = materialise(marks.join(classes, "key").select("doc_id", "component_id"), "groups")

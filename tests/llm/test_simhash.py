@@ -131,7 +131,7 @@ def test_similar_groups_against_brute_force(spark):
 
 
 def test_groups_of_near_copies_of_any_size(spark, monkeypatch):
-    monkeypatch.setattr(simhash, "SMALL_BUCKET", 8)
+    monkeypatch.setattr(simhash, "PAIRS_A_ROW", 0.5)
     rng = random.Random(3)
     base = [f"w{rng.randrange(5000)}" for _ in range(200)]
     rows = []

@@ -148,7 +148,7 @@ def prefix_tables(xsig: DataFrame, qsig: DataFrame, kmax: int, lmax: int) -> Dat
 
 def grid_eval(first: DataFrame, gold: DataFrame, kmax: int, lmax: int, ts: tuple[int, ...]) -> DataFrame:
     """``k, l, t, hits, reported`` for every (K, L, T): running sums over a histogram of ``min_l``."""
-    marked = first.join(F.broadcast(gold.select("q_id", "x_id", "rank")), ["q_id", "x_id"], "left")
+    marked = first.join(broadcast_if_small(gold.select("q_id", "x_id", "rank")), ["q_id", "x_id"], "left")
     cells = marked.groupBy("k", F.col("min_l").alias("l")).agg(F.count("*").alias("r"), *[F.count(F.when(F.col("rank") <= t, 1)).alias(f"h{t}") for t in ts])
     spark = first.sparkSession
     grid = spark.range(1, kmax + 1).select(F.col("id").cast("int").alias("k")).crossJoin(spark.range(1, lmax + 1).select(F.col("id").cast("int").alias("l")))

@@ -13,7 +13,7 @@ from overlapix.operators import bucketing, exact, ranking, schemes, sets
 from overlapix.plans import oracle as O
 from overlapix.plans.catalog_sets import PASSAGE, passages, weighted
 from overlapix.plans.registry import add, query
-from overlapix.sources.tables import collection, load
+from overlapix.sources.tables import collection, kept, load
 
 SEED = 17
 #: Codes of a signature query, of a ranking and of an index.
@@ -33,7 +33,7 @@ def scheme(kind: str, h: int, m: int, seed: int = SEED) -> schemes.Scheme:
 
 
 def halves(spark: SparkSession, d: str, coll: str) -> tuple[DataFrame, DataFrame, int]:
-    train, queries = sets.split_partitions(collection(spark, d, coll).where("f > 0"))
+    train, queries = sets.split_partitions(kept(collection(spark, d, coll).where("f > 0"), coll))
     return train, queries, sets.padding_bound(train, "data_and_query", queries)
 
 
@@ -144,11 +144,10 @@ def threeway_minhash(spark: SparkSession, d: str) -> DataFrame:
 def ml_minhash_join(spark: SparkSession, d: str) -> DataFrame:
     """The library's own minhash join, beside ours: pairs at distance under a half."""
     from pyspark.ml.feature import MinHashLSH
-    from pyspark.ml.linalg import Vectors, VectorUDT
+    from pyspark.ml.functions import array_to_vector
 
-    inc = load(spark, d, "embeddings").select(F.col("vec_id").alias("id"), F.filter(F.transform("embedding", lambda v, i: F.when(v > 0, i)), lambda i: i.isNotNull()).alias("on"))
-    vec = F.udf(lambda on: Vectors.sparse(64, [(int(i), 1.0) for i in on]), VectorUDT())
-    df = inc.where(F.size("on") > 0).select("id", vec("on").alias("v"))
+    on = F.transform("embedding", lambda v: (v > 0).cast("double"))
+    df = load(spark, d, "embeddings").where(F.exists("embedding", lambda v: v > 0)).select(F.col("vec_id").alias("id"), array_to_vector(on).alias("v"))
     model = MinHashLSH(inputCol="v", outputCol="h", numHashTables=4, seed=SEED).fit(df)
     return model.approxSimilarityJoin(df, df, 0.5, "dist").where("datasetA.id < datasetB.id").select(F.col("datasetA.id").alias("id1"), F.col("datasetB.id").alias("id2"), F.round("dist", 6).alias("dist"))
 
@@ -231,6 +230,45 @@ add("padding_ablation", lambda s, d: _ap(s, d, ("turn_w", "cust_parts"), ("minha
 add("size_variation_effect", lambda s, d: _ap(s, d, ("part_supps", "user_hours", "conv_w", "turn_w"), ("minhash", "opm1"), (N_RANK,)), _ap_sql(("part_supps", "user_hours", "conv_w", "turn_w"), ("minhash", "opm1"), (N_RANK,)))
 
 
+#: The four collections of the experiments, in the order of the source's four.
+FOUR = ("docs_s3", "emb_bin", "docs_w", "conv_w")
+RIVALS = ("minhash", "opm1", "l2alsh", "signalsh")
+CURVE_KS = (32, 64, 128)
+
+
+def _curves(spark: SparkSession, d: str) -> DataFrame:
+    """Mean interpolated precision at ten recall levels, per collection, scheme and K.
+
+    A ranking by matches has at most K + 1 tie groups a query; their sizes and gold
+    give the curve at the groups' ends, so no list is sorted and no pair leaves its task.
+    """
+    out = None
+    for coll in FOUR:
+        train, queries, m = halves(spark, d, coll)
+        gold = exact.exact_topk(train, queries, 100, "overlap")
+        for kind in RIVALS:
+            s = scheme(kind, max(CURVE_KS), m)
+            groups = ranking.tie_groups(s.data_signatures(train), s.query_signatures(queries), gold, CURVE_KS)
+            one = ranking.tie_curve(groups).select(F.lit(coll).alias("collection"), F.lit(kind).alias("scheme"), "k", "level", "precision_")
+            out = one if out is None else out.unionByName(one)
+    return out
+
+
+def _curve_sql(coll: str, kind: str) -> str:
+    ks = "(SELECT unnest([32, 64, 128]) AS k)"
+    ctes = [
+        *O.split(coll), O.OV, O.gold(100), *O.coded(kind, PARAMS.get(kind, {}), max(CURVE_KS), SEED),
+        f"hit AS MATERIALIZED (SELECT q.id AS q_id, x.id AS x_id, k, count(*) AS matches FROM qcode q JOIN xcode x ON q.t = x.t AND q.code = x.code JOIN {ks} ON q.t < k GROUP BY q.id, x.id, k)",
+        f"full_ AS MATERIALIZED (SELECT g.q_id, k, coalesce(h.matches, 0) AS matches, count(*) AS n, count(o.x_id) AS g FROM (SELECT qs.id AS q_id, xs.id AS x_id, k FROM qsets qs SEMI JOIN gold ON gold.q_id = qs.id CROSS JOIN xsets xs CROSS JOIN {ks}) g LEFT JOIN hit h USING (q_id, x_id, k) LEFT JOIN gold o ON o.q_id = g.q_id AND o.x_id = g.x_id GROUP BY g.q_id, k, coalesce(h.matches, 0))",
+        "walk AS (SELECT q_id, k, sum(n) OVER w AS p, sum(g) OVER w AS seen, sum(g) OVER (PARTITION BY q_id, k) AS total FROM full_ WINDOW w AS (PARTITION BY q_id, k ORDER BY matches DESC))",
+        "b AS (SELECT q_id, k, level, max(seen / p) AS pr FROM walk, (SELECT unnest(range(1, 11)) AS level) WHERE seen / total >= level / 10.0::DOUBLE - 1e-12 GROUP BY q_id, k, level)",
+    ]
+    return f"SELECT '{coll}' AS collection, '{kind}' AS scheme, CAST(k AS INT) AS k, CAST(level AS INT) AS level, precision_ FROM ({O.query(ctes, 'SELECT k, level, round(avg(pr), 6) AS precision_ FROM b GROUP BY k, level')})"
+
+
+add("pr_curves", _curves, " UNION ALL ".join(_curve_sql(c, kind) for c in FOUR for kind in RIVALS))
+
+
 @query(O.query([*_ranked_sql("turn_w", "opm1"), "z AS (SELECT r.q_id, matches, coalesce(a, 0) AS a FROM ranked r LEFT JOIN ov USING (q_id, x_id))"], "SELECT q_id, round(corr(matches, a), 5) AS corr FROM z GROUP BY q_id"))
 def monotonicity(spark: SparkSession, d: str) -> DataFrame:
     """How closely matches follow the overlap, per query."""
@@ -254,7 +292,7 @@ def estimate_overlap(spark: SparkSession, d: str) -> DataFrame:
 
 
 def index(spark: SparkSession, d: str, kind: str, k: int = K, l: int = L) -> tuple[bucketing.LshIndex, DataFrame, DataFrame]:  # noqa: E741
-    x, q = (s.where("f > 0") for s in passages(spark, d))
+    x, q = (kept(s.where("f > 0"), "passages") for s in passages(spark, d))
     m = sets.padding_bound(x, "data_and_query", q)
     return bucketing.LshIndex.build(x, scheme(kind, k * l, m), k, l), x, q
 
@@ -307,7 +345,7 @@ def bucket_histogram(spark: SparkSession, d: str) -> DataFrame:
     return index(spark, d, "minhash")[0].stats()
 
 
-KMAX, LMAX, TS = 4, 8, (5, 10, 20, 50)
+KMAX, LMAX, TS = 8, 32, (5, 10, 20, 50)
 LEVELS = (0.1, 0.2, 0.3, 0.5, 0.7, 0.9)
 
 
@@ -327,7 +365,8 @@ def _grid_sql(coll: str, kind: str) -> list[str]:
         *O.split(coll), O.OV, O.gold(50), *O.coded(kind, PARAMS.get(kind, {}), KMAX * LMAX, SEED), f"xk AS MATERIALIZED ({keys('xcode')})", f"qk AS MATERIALIZED ({keys('qcode')})",
         "met AS MATERIALIZED (SELECT DISTINCT q.id AS q_id, x.id AS x_id, k, j FROM qk q JOIN xk x USING (j, k, key))",
         f"spots AS (SELECT k, l FROM (SELECT unnest(range(1, {KMAX + 1})) AS k), (SELECT unnest(range(1, {LMAX + 1})) AS l))",
-        f"rep AS MATERIALIZED (SELECT DISTINCT c.k, c.l, q_id, x_id FROM spots c JOIN met m ON m.k = c.k AND m.j < c.l)",
+        "early AS MATERIALIZED (SELECT q_id, x_id, k, min(j) AS j FROM met GROUP BY q_id, x_id, k)",
+        "rep AS MATERIALIZED (SELECT c.k, c.l, q_id, x_id FROM spots c JOIN early m ON m.k = c.k AND m.j < c.l)",
         f"grid AS MATERIALIZED (SELECT c.k, c.l, tt.t, coalesce(h.n, 0) AS hits, coalesce(r.n, 0) AS reported FROM spots c CROSS JOIN (SELECT unnest({list(TS)}) AS t) tt LEFT JOIN (SELECT k, l, count(*) AS n FROM rep GROUP BY k, l) r USING (k, l) LEFT JOIN (SELECT k, l, t, count(*) AS n FROM rep JOIN gold USING (q_id, x_id) JOIN (SELECT unnest({list(TS)}) AS t) ON rank <= t GROUP BY k, l, t) h ON h.k = c.k AND h.l = c.l AND h.t = tt.t)",
     ]
 
@@ -350,16 +389,23 @@ def _best(spark: SparkSession, d: str, coll: str, kind: str) -> DataFrame:
 add("best_kl", lambda s, d: _best(s, d, "turn_w", "opm1"), _best_sql("turn_w", "opm1"))
 
 
-def _sweep(spark: SparkSession, d: str) -> DataFrame:
+def _sweep(spark: SparkSession, d: str, kmax: int = KMAX, lmax: int = LMAX) -> DataFrame:
+    """The cheapest (K, L) at each recall level, for every T, scheme and collection of the experiment."""
     out = None
-    for coll in ("emb_bin", "turn_w"):
-        for kind in ("minhash", "opm1", "l2alsh", "signalsh"):
-            one = _best(spark, d, coll, kind).select(F.lit(coll).alias("collection"), F.lit(kind).alias("scheme"), "t", "level", "k", "l", "fraction")
+    for coll in FOUR:
+        train, queries, m = halves(spark, d, coll)
+        gold = kept(exact.exact_topk(train, queries, 50, "overlap"), "gold")
+        n = train.count() * queries.count()
+        for kind in RIVALS:
+            s = scheme(kind, kmax * lmax, m)
+            first = bucketing.prefix_tables(s.data_signatures(train), s.query_signatures(queries), kmax, lmax)
+            best = bucketing.best_per_recall(kept(bucketing.grid_eval(first, gold, kmax, lmax, TS), "grid"), gold, n, LEVELS)
+            one = best.select(F.lit(coll).alias("collection"), F.lit(kind).alias("scheme"), "t", "level", "k", "l", "fraction")
             out = one if out is None else out.unionByName(one)
     return out
 
 
-add("bucketing_sweep", _sweep, " UNION ALL ".join(f"SELECT '{c}' AS collection, '{k}' AS scheme, * FROM ({_best_sql(c, k)})" for c in ("emb_bin", "turn_w") for k in ("minhash", "opm1", "l2alsh", "signalsh")))
+add("bucketing_sweep", _sweep, " UNION ALL ".join(f"SELECT '{c}' AS collection, '{k}' AS scheme, * FROM ({_best_sql(c, k)})" for c in FOUR for k in RIVALS))
 
 
 @query(O.query([*_bucket_sql("opm1")], "SELECT CAST(j AS INT) AS j, key, id FROM xb WHERE id % 7 <> 3"))
@@ -400,7 +446,7 @@ def passage_containment(spark: SparkSession, d: str) -> DataFrame:
 @query(O.query(PASSAGE, "SELECT q_id, x_id, CAST(a AS BIGINT) AS a, CAST(fq AS BIGINT) AS fq, CAST(fx AS BIGINT) AS fx FROM ov WHERE a >= ceil(0.9 * fq)"))
 def containment_join_whole(spark: SparkSession, d: str) -> DataFrame:
     """Every pair of containment 0.9, by the prefix filter; ``containment_join`` gives those its index meets."""
-    x, q = (s.where("f > 0") for s in passages(spark, d))
+    x, q = (kept(s.where("f > 0"), "passages") for s in passages(spark, d))
     found = exact.InvertedIndex(x).search_threshold(x, q, 0.9)
     sized = found.join(q.select(F.col("id").alias("q_id"), F.col("f").cast("bigint").alias("fq")), "q_id")
     return sized.join(x.select(F.col("id").alias("x_id"), F.col("f").cast("bigint").alias("fx")), "x_id").select("q_id", "x_id", "a", "fq", "fx")
@@ -412,20 +458,19 @@ def passage_containment_whole(spark: SparkSession, d: str) -> DataFrame:
     return containment_join_whole(spark, d).join(labels, "x_id", "left").select("q_id", "x_id", "a", F.coalesce("quality", F.lit(-1)).alias("quality"))
 
 
-@query(O.query([*O.base("docs_w"), O.draws(48, SEED), f"code AS MATERIALIZED ({O.raw('inc')})", "b AS MATERIALIZED (SELECT id, t // 4 AS j, string_agg(CAST(code AS VARCHAR), '-' ORDER BY t) AS key FROM code GROUP BY id, t // 4)", "c AS (SELECT DISTINCT x.id AS id1, y.id AS id2 FROM b x JOIN b y ON x.j = y.j AND x.key = y.key AND x.id < y.id)", "o AS (SELECT id1, id2, count(*) AS a FROM c JOIN inc x ON x.id = id1 JOIN inc y ON y.id = id2 AND y.e = x.e GROUP BY id1, id2)"], "SELECT id1, id2, round(a / (s.f + t.f - a), 6) AS value FROM o JOIN sets s ON s.id = id1 JOIN sets t ON t.id = id2 WHERE a / (s.f + t.f - a) >= 0.8"))
+@query(O.query([*O.base("docs_w"), O.draws(48, SEED), "keyed AS MATERIALIZED (SELECT id, string_agg(CAST(e AS VARCHAR), '-' ORDER BY e) AS k FROM inc GROUP BY id)", "cls AS MATERIALIZED (SELECT min(id) AS id, count(*) AS copies FROM keyed GROUP BY k)", f"code AS MATERIALIZED (SELECT * FROM ({O.raw('inc')}) SEMI JOIN cls USING (id))", "b AS MATERIALIZED (SELECT id, t // 4 AS j, string_agg(CAST(code AS VARCHAR), '-' ORDER BY t) AS key FROM code GROUP BY id, t // 4)", "c AS (SELECT DISTINCT x.id AS id1, y.id AS id2 FROM b x JOIN b y ON x.j = y.j AND x.key = y.key AND x.id < y.id)", "o AS (SELECT id1, id2, count(*) AS a FROM c JOIN inc x ON x.id = id1 JOIN inc y ON y.id = id2 AND y.e = x.e GROUP BY id1, id2)"], "SELECT id1, id2, round(a / (s.f + t.f - a), 6) AS value, CAST(u.copies AS BIGINT) AS copies1, CAST(v.copies AS BIGINT) AS copies2 FROM o JOIN sets s ON s.id = id1 JOIN sets t ON t.id = id2 JOIN cls u ON u.id = id1 JOIN cls v ON v.id = id2 WHERE a / (s.f + t.f - a) >= 0.8 UNION ALL SELECT id, id, 1.0, CAST(copies AS BIGINT), CAST(copies AS BIGINT) FROM cls WHERE copies > 1"))
 def near_duplicates(spark: SparkSession, d: str) -> DataFrame:
-    """Pairs of documents of resemblance 0.8, of those that share a bucket; identical
-    word sets are expanded from their classes at the end."""
-    x = collection(spark, d, "docs_w").where("f > 0")
-    classes = x.groupBy("elems").agg(F.min("id").alias("rep"))
-    members = x.join(classes, "elems").select("id", "rep")
-    pairs = bucketing.self_join(x, schemes.minhash(48, SEED), 4, 12, keep_identical=False)
-    reps = pairs.unionByName(members.select(F.col("rep").alias("id1"), F.col("rep").alias("id2")).distinct())
-    wide = reps.join(members.select(F.col("id").alias("m1"), F.col("rep").alias("id1")), "id1").join(members.select(F.col("id").alias("m2"), F.col("rep").alias("id2")), "id2")
-    both = wide.select(F.least("m1", "m2").alias("q_id"), F.greatest("m1", "m2").alias("x_id")).where("q_id < x_id").distinct()
-    found = bucketing.verify(both, x, x)
+    """Classes of identical word sets, by their least id and how many they are: pairs of
+    classes of resemblance 0.8 that share a bucket, and each class of several with itself."""
+    x = kept(collection(spark, d, "docs_w").where("f > 0"), "docs_w")
+    classes = kept(x.groupBy(F.xxhash64("elems").alias("h"), "elems").agg(F.min("id").alias("id"), F.count("*").alias("copies")).select("id", "elems", F.size("elems").alias("f"), "copies"), "classes")
+    pairs = bucketing.self_join(classes, schemes.minhash(48, SEED), 4, 12, keep_identical=False).toDF("q_id", "x_id")
+    found = bucketing.verify(pairs, classes, classes)
     r = M.resemblance(F.col("a"), F.col("fx"), F.col("fq"))
-    return found.where(r >= 0.8).select(F.col("q_id").alias("id1"), F.col("x_id").alias("id2"), F.round(r, 6).alias("value"))
+    near = found.where(r >= 0.8).select(F.col("q_id").alias("id1"), F.col("x_id").alias("id2"), F.round(r, 6).alias("value"))
+    one, two = classes.select(F.col("id").alias("id1"), F.col("copies").alias("copies1")), classes.select(F.col("id").alias("id2"), F.col("copies").alias("copies2"))
+    same = classes.where("copies > 1").select(F.col("id").alias("id1"), F.col("id").alias("id2"), F.lit(1.0).alias("value"), F.col("copies").alias("copies1"), F.col("copies").alias("copies2"))
+    return near.join(one, "id1").join(two, "id2").select("id1", "id2", "value", "copies1", "copies2").unionByName(same)
 
 
 @query(O.query([*O.split("cust_parts"), O.OV, f"g AS ({O.top('ov', 'a', 3)})"], f"SELECT q_id, e, CAST(count(*) AS BIGINT) AS votes FROM g JOIN xinc ON id = x_id ANTI JOIN qinc ON qinc.id = q_id AND qinc.e = xinc.e GROUP BY q_id, e HAVING count(*) >= 2"))

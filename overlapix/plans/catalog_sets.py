@@ -321,7 +321,13 @@ add(
 )
 
 
-@query("SELECT 0::BIGINT AS violations")
+def _padded_count(qpad: str, xpad: str) -> str:
+    """Overlapping pairs whose count of common elements changes when the two sides are padded."""
+    pad = lambda side, name: f"SELECT id, 'e' || CAST(e AS VARCHAR) AS e FROM {side}inc UNION ALL SELECT id, '{name}' || CAST(unnest(range(m - f)) AS VARCHAR) FROM {side}sets, mt" if name else f"SELECT id, 'e' || CAST(e AS VARCHAR) AS e FROM {side}inc"
+    return f"SELECT count(*) AS n FROM (SELECT q.id AS q_id, x.id AS x_id, count(*) AS b FROM ({pad('q', qpad)}) q JOIN ({pad('x', xpad)}) x USING (e) GROUP BY q.id, x.id) FULL JOIN ov USING (q_id, x_id) WHERE a IS DISTINCT FROM b"
+
+
+@query(O.query([*TURNS, _MT], f"SELECT CAST((SELECT n FROM ({_padded_count('', 'A')})) + (SELECT n FROM ({_padded_count('B', 'A')})) AS BIGINT) AS violations"))
 def inner_product_preserved(spark: SparkSession, d: str) -> DataFrame:
     """Pairs whose overlap differs before and after padding, under both pairs of maps."""
     plain = exact.overlaps(*turns(spark, d)).select("q_id", "x_id", "a")
@@ -404,7 +410,7 @@ def rho_signalsh(spark: SparkSession, d: str) -> DataFrame:
     return full.where(near <= 1).select("s0_over_m", "c", T.rho_col(T.srp_col(near), T.srp_col(far)).alias("r")).where("r is not null").groupBy("s0_over_m", "c").agg(F.round(F.min("r"), 6).alias("rho"))
 
 
-@query("SELECT 0::BIGINT AS violations")
+@query(O.query([GRID, "g AS (SELECT c, fq, m, s0_over_m * least(fq, m) AS s0 FROM grid, (SELECT unnest([5, 20, 60]::DOUBLE[]) AS fq), (SELECT unnest([20, 60, 200, 2000]::DOUBLE[]) AS m))", "r AS (SELECT ln(s0 / (fq + m - s0)) / ln(c * s0 / (fq + m - c * s0)) AS ours, ln(s0 / (fq + m - s0)) / ln(c * s0 / fq) AS theirs FROM g)"], "SELECT CAST(count(*) FILTER (ours > theirs + 1e-12) AS BIGINT) AS violations FROM r"))
 def theorem4_violations(spark: SparkSession, d: str) -> DataFrame:
     """Grid points where the padded exponent at a known query size exceeds minhash's."""
     g = grid(spark).crossJoin(spark.createDataFrame([(f, float(m)) for f in (5.0, 20.0, 60.0) for m in (20, 60, 200, 2000)], "fq double, m double"))

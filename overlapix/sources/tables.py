@@ -8,14 +8,40 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from overlapix.operators import sets
+from overlapix.sources.formats import scratch
 
 
 def load(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
     return spark.read.parquet(f"{sf_dir}/{name}.parquet")
 
 
+#: Tables of fewer bytes are as quick in one task.
+SPREAD_BYTES = 4 << 20
+
+
+def spread(df: DataFrame) -> DataFrame:
+    """``df`` over all cores where its scan has fewer tasks than they are: a file of
+    one row group is one task.  Never so where there is more than a task a core."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    plan = df._jdf.queryExecution()
+    if int(str(plan.optimizedPlan().stats().sizeInBytes())) < SPREAD_BYTES or df.rdd.getNumPartitions() >= 2 * cores:
+        return df
+    return df.repartition(cores)
+
+
+def kept(df: DataFrame, label: str = "kept") -> DataFrame:
+    """``df`` written once to the shared folder, for plans that read it several times."""
+    path = scratch(df.sparkSession, label)
+    df.write.parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
 def _text(table: str, key: str, column: str = "text", k: int = 1) -> Callable[[SparkSession, str], DataFrame]:
-    return lambda spark, d: sets.shingle_sets(load(spark, d, table), key, column, k) if k > 1 else sets.word_sets(load(spark, d, table), key, column)
+    def build(spark: SparkSession, d: str) -> DataFrame:
+        rows = spread(load(spark, d, table).select(key, column))
+        return sets.shingle_sets(rows, key, column, k) if k > 1 else sets.word_sets(rows, key, column)
+
+    return build
 
 
 def _basket(build: Callable[[SparkSession, str], DataFrame]) -> Callable[[SparkSession, str], DataFrame]:
@@ -38,7 +64,7 @@ def _words_of(spark: SparkSession, d: str, key) -> DataFrame:
 COLLECTIONS: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "docs_w": _text("documents", "doc_id"),
     "docs_s3": _text("documents", "doc_id", k=3),
-    "pages_w": lambda spark, d: sets.html_sets(load(spark, d, "pages"), "page_id", "html"),
+    "pages_w": lambda spark, d: sets.html_sets(spread(load(spark, d, "pages").select("page_id", "html")), "page_id", "html"),
     "conv_w": _basket(lambda spark, d: _words_of(spark, d, F.col("conv_id"))),
     "turn_w": _basket(lambda spark, d: _words_of(spark, d, F.col("conv_id") * 1000 + F.col("turn"))),
     "cust_parts": _basket(bought),

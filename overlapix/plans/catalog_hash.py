@@ -92,15 +92,16 @@ def _sampled(spark: SparkSession, d: str, make) -> DataFrame:
     return schemes.long_codes(s.data_signatures(train)).withColumn("side", F.lit("data")).unionByName(schemes.long_codes(s.query_signatures(queries)).withColumn("side", F.lit("query")))
 
 
-def _sampling_sql() -> str:
+def _sampling_sql(low: int = 0) -> str:
     parts = []
     for side, i in (("data", "xinc"), ("query", "qinc")):
         own = f"(SELECT DISTINCT id, {O.fp(repr(side + ':') + ' || CAST(id AS VARCHAR)')} AS e FROM {i})"
-        parts.append(f"SELECT h.id, CAST(h.t AS INT) AS t, CASE WHEN hit THEN 0 ELSE m.h % 64 END AS code, '{side}' AS side FROM ({_HIT.format(i=i)}) h JOIN (SELECT id, t, h FROM {O.hashed(own)}) m ON m.id = h.id AND m.t = h.t")
+        parts.append(f"SELECT h.id, CAST(h.t AS INT) AS t, CASE WHEN hit THEN 0 ELSE {low} + m.h % 64 END AS code, '{side}' AS side FROM ({_HIT.format(i=i)}) h JOIN (SELECT id, t, h FROM {O.hashed(own)}) m ON m.id = h.id AND m.t = h.t")
     return O.query([*EMB, O.draws(N_SIG, SEED), _UNI], " UNION ALL ".join(parts))
 
 
 add("sampling_lsh", lambda s, d: _sampled(s, d, lambda: schemes.sampling(N_SIG, SEED, universe(), 64)), _sampling_sql())
+add("sampling_lsh_one_to_n", lambda s, d: _sampled(s, d, lambda: schemes.sampling(N_SIG, SEED, universe(), 64, "one_to_n")), _sampling_sql(1))
 add("bit_sampling", lambda s, d: _sampled(s, d, lambda: schemes.bit_sampling(N_SIG, SEED, universe())), O.query([*EMB, O.draws(N_SIG, SEED), _UNI], " UNION ALL ".join(f"SELECT id, CAST(t AS INT) AS t, CAST(hit AS BIGINT) AS code, '{s}' AS side FROM ({_HIT.format(i=i)})" for s, i in (("data", "xinc"), ("query", "qinc")))))
 
 

@@ -1,15 +1,24 @@
 """Language-model scores by a log-bilinear model trained with noise-contrastive estimation.
 
-Word counts and counts of adjacent words come from all training documents, by
-distributed aggregation.  The ``VOCAB`` most frequent words, the end of a text
-and one class for the rest are the model's outputs; a context word's vector and
-a word's vector and bias give a score by their inner product.  Training is in
-numpy on the table of adjacent counts, whose size ``VOCAB`` bounds: each step
-takes the noise-contrastive gradient over all counted pairs and over the whole
-noise distribution, so nothing is sampled.  One matrix product a worker then
-gives every context's scores, normalised exactly, and a share of the unigram
-distribution is mixed in so that unseen pairs keep some mass.  A word of the
-rest class has that class's probability times its own within the class.
+Word counts come from all training documents, by distributed aggregation.  The
+model's outputs are the words that occur most (at most ``VOCAB``; how many depends
+on the corpus), the end of a text, and ``REST`` classes of all other words by their
+last letters.  The vectors of the ``CONTEXT`` outputs before a token, each scaled by
+its position's vector, add up to a vector that is compared with those of the outputs.
+
+Outputs are dealt to about the square root of their number of groups; a token's
+probability is that of its group among the groups times its own within the group,
+so two narrow matrix products a batch of tokens give exactly normalised scores.  A
+share of the unigram distribution is mixed in.  A word of a rest class has that
+class's probability times its share of the class, in which one use is set aside for
+every word never seen.
+
+Every training document is learned from: each learner (a task over about
+``LEARNER_TOKENS`` tokens) starts from the same model and takes adaptive steps on
+the noise-contrastive objective, in expectation over the noise, which is the
+unigram distribution of groups and within groups.  The learners' models are
+averaged by tokens in blocks of parameters, so that a model's size bounds what one
+task or the driver holds.
 
 Counts of the most frequent ``COMMON`` words travel to the executors; the others
 meet their documents in a join on a 64-bit hash.
@@ -17,6 +26,7 @@ meet their documents in a join on a 64-bit hash.
 
 from __future__ import annotations
 
+import zlib
 from collections import Counter
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
@@ -24,28 +34,41 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 import xxhash
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from overlapix.llm.fm_quality import fold
 from overlapix.llm.storage import materialise
 
-VOCAB = 2048
+VOCAB = 16_384
+REST = 512
 COMMON = 200_000
-SIZE = 24
+SIZE = 32
+CONTEXT = 4
 NOISE = 12
-STEPS = 80
-MIX = 0.1
-#: Output classes before the words: the rest, and the end of a text (as a context: its start).
-REST, END = 0, 1
+RATE = 0.15
+MIX = 0.05
+#: The end of a text, and as a context what comes before its start; the rest classes follow, then the words.
+END = 0
 FLUSH_WORDS = 400_000
-FLUSH_PAIRS = 8_000_000
+#: Tokens of one step, of one batch that is scored, and of one learner.
+STEP, BATCH, LEARNER_TOKENS = 32_768, 65_536, 4_000_000
+#: Parameters in one row between learners and their average.
+BLOCK = 8192
 
 
 def tokens(text: str | None) -> list[bytes]:
     return (text or "").encode("utf-8", "surrogatepass").lower().split()
 
 
+def rest_class(word: bytes, rest: int) -> int:
+    return 1 + zlib.crc32(word[-3:]) % rest
+
+
+def _rest_column(word: Column, rest: int) -> Column:
+    return F.crc32(F.substring(word, -3, 3)) % rest + 1
+
+
 def _count_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
     train, held = Counter(), Counter()
 
@@ -71,156 +94,302 @@ def word_counts(rows: DataFrame) -> DataFrame:
     return made.groupBy("word").agg(F.sum("c").alias("c"), F.sum("total").alias("total"))
 
 
-def _pair_batches(index: dict[bytes, int], classes: int) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
+def most_frequent(counts: DataFrame, by: str, bound: int) -> DataFrame:
+    """The words of the highest levels of ``by`` (64 to a doubling), as many whole
+    levels as ``bound`` words hold, found by a count a level, without a sort."""
+    level = F.floor(F.log2(by) * 64)
+    sizes = dict(counts.where(F.col(by) > 0).groupBy(level.alias("level")).count().collect())
+    least, held = None, 0
+    for at in sorted(sizes, reverse=True):
+        held += sizes[at]
+        if held > bound:
+            break
+        least = at
+    return counts.where(F.col(by) > 0).where(level >= least) if least is not None else counts.where(F.lit(False))
+
+
+@dataclass
+class LogBilinear:
+    """``word`` and ``bias`` are by group and place within it: output ``o`` of ``groups``
+    groups is in group ``o % groups`` at ``o // groups``."""
+
+    context: np.ndarray
+    position: np.ndarray
+    group: np.ndarray
+    group_bias: np.ndarray
+    word: np.ndarray
+    bias: np.ndarray
+    unigram: np.ndarray
+
+    PARAMS = ("context", "position", "group", "group_bias", "word", "bias")
+
+    @classmethod
+    def start(cls, uses: np.ndarray, seed: int = 3) -> LogBilinear:
+        """The model that every learner starts from: ``uses`` counts each output."""
+        groups = max(1, round(len(uses) ** 0.5))
+        depth = -(-len(uses) // groups)
+        unigram = np.zeros(groups * depth, np.float64)
+        unigram[: len(uses)] = (uses + 1) / (uses + 1).sum()
+        rng = np.random.default_rng(seed)
+        small = lambda *shape: rng.normal(0, 0.1, shape).astype(np.float32)
+        by_group = unigram.reshape(depth, groups).T
+        mass = by_group.sum(1)
+        inside = by_group / mass[:, None]
+        bias = np.where(inside > 0, np.log(np.maximum(inside, 1e-30)), -1e4)
+        return cls(small(len(uses), SIZE), np.ones((CONTEXT, SIZE), np.float32) / CONTEXT**0.5, small(groups, SIZE), np.log(mass).astype(np.float32), small(groups, depth, SIZE), bias.astype(np.float32), unigram.astype(np.float32))
+
+    def vector(self, before: list[np.ndarray]) -> np.ndarray:
+        return sum(b * self.position[p] for p, b in enumerate(before))
+
+    def before(self, flat: np.ndarray, at: np.ndarray) -> list[np.ndarray]:
+        """The vectors of the outputs before each place, nearest first."""
+        return [self.context[flat[at - 1 - p]] for p in range(CONTEXT)]
+
+    def by_group(self, outputs: np.ndarray) -> Iterator[tuple[int, np.ndarray, np.ndarray]]:
+        """Each group that occurs, the rows of its tokens and their places within it."""
+        mine, place = outputs % len(self.group), outputs // len(self.group)
+        order = _order(mine, len(self.group))
+        edges = np.searchsorted(mine[order], np.arange(len(self.group) + 1))
+        for g in range(len(self.group)):
+            rows = order[edges[g] : edges[g + 1]]
+            if len(rows):
+                yield g, rows, place[rows]
+
+    def log_probs(self, flat: np.ndarray, at: np.ndarray) -> np.ndarray:
+        """log10 probabilities of the outputs at ``at``, given those before them."""
+        out = np.empty(len(at))
+        for begin in range(0, len(at), BATCH):
+            here = at[begin : begin + BATCH]
+            h, target = self.vector(self.before(flat, here)), flat[here]
+            p = _share(h @ self.group.T + self.group_bias, target % len(self.group))
+            for g, rows, place in self.by_group(target):
+                p[rows] *= _share(h[rows] @ self.word[g].T + self.bias[g], place)
+            out[begin : begin + BATCH] = np.log10((1 - MIX) * p + MIX * self.unigram[target])
+        return out
+
+    def flat_params(self) -> np.ndarray:
+        return np.concatenate([getattr(self, k).ravel() for k in self.PARAMS])
+
+    def with_params(self, values: np.ndarray) -> LogBilinear:
+        made, begin = {}, 0
+        for k in self.PARAMS:
+            old = getattr(self, k)
+            made[k] = values[begin : begin + old.size].reshape(old.shape).astype(np.float32)
+            begin += old.size
+        return LogBilinear(**made, unigram=self.unigram)
+
+
+def _order(values: np.ndarray, bound: int) -> np.ndarray:
+    # NumPy sorts integers of 16 bits by radix
+    return np.argsort(values.astype(np.uint16) if bound <= 1 << 16 else values, kind="stable")
+
+
+def _share(score: np.ndarray, chosen: np.ndarray) -> np.ndarray:
+    """The softmax of each row at its chosen column."""
+    score -= score.max(1, keepdims=True)
+    np.exp(score, out=score)
+    return score[np.arange(len(score)), chosen] / score.sum(1)
+
+
+def _pull(score: np.ndarray, log_noise: np.ndarray, noise: np.ndarray, chosen: np.ndarray) -> np.ndarray:
+    """Gradient of the noise-contrastive objective for every score: what a token
+    adds to its own column, less what the expected noise takes from each."""
+    np.subtract(log_noise, score, out=score)
+    with np.errstate(over="ignore"):
+        np.exp(score, out=score)
+    score += 1
+    np.reciprocal(score, out=score)
+    rows = np.arange(len(score))
+    own = 1 - score[rows, chosen]
+    score *= -noise
+    score[rows, chosen] += own
+    return score
+
+
+class Learner:
+    """Adaptive steps from a shared model; its arrays are its own copies."""
+
+    def __init__(self, model: LogBilinear):
+        self.m = model.with_params(model.flat_params().copy())
+        groups, depth = self.m.bias.shape
+        by_group = self.m.unigram.reshape(depth, groups).T
+        self.noise = NOISE * by_group.sum(1)
+        self.inside = NOISE * by_group / by_group.sum(1)[:, None]
+        self.log_noise = np.log(self.noise)
+        self.log_inside = np.where(self.inside > 0, np.log(np.maximum(self.inside, 1e-30)), 0.0).astype(np.float32)
+        self.seen = {k: np.full(getattr(self.m, k).shape[:-1] if k in ("context", "word") else getattr(self.m, k).shape, 1e-6, np.float32) for k in LogBilinear.PARAMS}
+
+    def _move(self, name: str, at, grad: np.ndarray) -> None:
+        seen, by_row = self.seen[name], name in ("context", "word")
+        seen[at] += (grad * grad).mean(-1) if by_row else grad * grad
+        scale = np.sqrt(seen[at])
+        getattr(self.m, name)[at] += RATE * grad / (scale[..., None] if by_row else scale)
+
+    def step(self, flat: np.ndarray, at: np.ndarray) -> None:
+        m, target = self.m, flat[at]
+        before = m.before(flat, at)
+        h = m.vector(before)
+        pull = _pull(h @ m.group.T + m.group_bias, self.log_noise, self.noise, target % len(m.group))
+        back = pull @ m.group
+        moves = [("group", slice(None), pull.T @ h), ("group_bias", slice(None), pull.sum(0))]
+        for g, rows, place in m.by_group(target):
+            part = h[rows]
+            pull = _pull(part @ m.word[g].T + m.bias[g], self.log_inside[g], self.inside[g], place)
+            back[rows] += pull @ m.word[g]
+            moves += [("word", g, pull.T @ part), ("bias", g, pull.sum(0))]
+        moves.append(("position", slice(None), np.stack([np.einsum("nd,nd->d", back, b) for b in before])))
+        ids = np.concatenate([flat[at - 1 - p] for p in range(CONTEXT)])
+        order = _order(ids, len(m.context))
+        found, begin = np.unique(ids[order], return_index=True)
+        grads = np.concatenate([back * x for x in m.position])
+        moves.append(("context", found, np.add.reduceat(grads[order], begin, axis=0)))
+        for name, where, grad in moves:
+            self._move(name, where, grad)
+
+
+def _flatten(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    """Texts' outputs in a row, each after ``CONTEXT`` ends and closed by one, and the places of their tokens."""
+    pad, end = np.full(CONTEXT, END, np.int32), np.full(1, END, np.int32)
+    flat = np.concatenate([part for ids in texts for part in (pad, ids, end)])
+    sizes = np.array([len(ids) + 1 for ids in texts])
+    return flat, np.arange(sizes.sum()) + np.repeat(np.arange(1, len(sizes) + 1) * CONTEXT, sizes)
+
+
+def _learn_batches(shared) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held: list[np.ndarray] = []
-        count = 0
+        words, rest, model = shared.value
+        index = {w: i + 1 + rest for i, w in enumerate(words)}
+        learner, held, size, weight = Learner(model), [], 0, 0
 
-        def out() -> pa.RecordBatch:
-            codes, n = np.unique(np.concatenate(held), return_counts=True)
-            held.clear()
-            return pa.RecordBatch.from_arrays([pa.array(codes.astype(np.int64)), pa.array(n.astype(np.int64))], names=["code", "n"])
+        def learn() -> None:
+            flat, at = _flatten(held)
+            for begin in range(0, len(at), STEP):
+                learner.step(flat, at[begin : begin + STEP])
 
         for batch in batches:
             for text in batch.column(0):
-                ids = np.array([END, *(index.get(w, REST) for w in tokens(text.as_py())), END], np.int32)
-                held.append(ids[:-1] * np.int32(classes) + ids[1:])
-                count += len(ids) - 1
-            if count > FLUSH_PAIRS:
-                yield out()
-                count = 0
+                held.append(np.array([index.get(w) or rest_class(w, rest) for w in tokens(text.as_py())], np.int32))
+                size += len(held[-1]) + 1
+                if size >= 4 * STEP:
+                    learn()
+                    held, weight, size = [], weight + size, 0
         if held:
-            yield out()
+            learn()
+            weight += size
+        if weight:
+            values = learner.m.flat_params()
+            blocks = [values[i : i + BLOCK] for i in range(0, len(values), BLOCK)]
+            yield pa.RecordBatch.from_arrays([pa.array(range(len(blocks)), pa.int32()), pa.array([float(weight)] * len(blocks)), pa.array([b.tobytes() for b in blocks], pa.binary())], names=["block", "weight", "content"])
 
     return run
 
 
-@dataclass
-class LogBilinear:
-    context: np.ndarray
-    word: np.ndarray
-    bias: np.ndarray
-    unigram: np.ndarray
+def _average_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+    sums: dict[int, tuple[np.ndarray, float]] = {}
+    for batch in batches:
+        for block, weight, content in zip(batch.column(0).to_pylist(), batch.column(1).to_pylist(), batch.column(2), strict=True):
+            total, mass = sums.get(block, (0.0, 0.0))
+            sums[block] = total + weight * np.frombuffer(content.as_py(), np.float32).astype(np.float64), mass + weight
+    if sums:
+        yield pa.RecordBatch.from_arrays([pa.array(list(sums), pa.int32()), pa.array([(t / m).astype(np.float32).tobytes() for t, m in sums.values()], pa.binary())], names=["block", "content"])
+
 
-    def table(self) -> np.ndarray:
-        """log10 probabilities, a row a context; every row sums to one."""
-        s = self.context @ self.word.T + self.bias
-        s -= s.max(1, keepdims=True)
-        p = np.exp(s)
-        p /= p.sum(1, keepdims=True)
-        return np.log10((1 - MIX) * p + MIX * self.unigram).astype(np.float32)
-
-
-def train(pairs: np.ndarray, seed: int = 3) -> LogBilinear:
-    """``pairs[c, w]``: how often class w follows class c.  Adaptive steps on the
-    noise-contrastive objective in expectation over the noise, which is the
-    smoothed unigram distribution."""
-    classes = len(pairs)
-    rng = np.random.default_rng(seed)
-    noise = (pairs.sum(0) + 1) / (pairs.sum() + classes)
-    log_noise = np.log(noise * NOISE).astype(np.float32)
-    weight = pairs.sum(1)
-    joint = (pairs / max(1.0, pairs.sum())).astype(np.float32)
-    share = (weight / max(1.0, weight.sum())).astype(np.float32)[:, None] * (NOISE * noise).astype(np.float32)[None, :]
-    # contexts count by the square root of their use, so that rare ones learn as well
-    lift = (1 / np.sqrt(np.maximum(weight, 1) / max(1.0, weight.sum()) + 1e-6)).astype(np.float32)[:, None]
-    joint, share = joint * lift, share * lift
-    shape = (classes, SIZE)
-    params = [rng.normal(0, 0.1, shape).astype(np.float32), rng.normal(0, 0.1, shape).astype(np.float32), np.log(noise).astype(np.float32)]
-    first, second = [np.zeros_like(p) for p in params], [np.zeros_like(p) for p in params]
-    for step in range(1, STEPS + 1):
-        score = params[0] @ params[1].T + params[2]
-        score -= log_noise
-        np.clip(score, -30, 30, out=score)
-        data = 1 / (1 + np.exp(-score))
-        pull = joint * (1 - data) - share * data
-        grads = [-(pull @ params[1]) + 1e-5 * params[0], -(pull.T @ params[0]) + 1e-5 * params[1], -pull.sum(0)]
-        rate = 0.08 * (1 - (step - 1) / STEPS) + 0.005
-        for p, g, a, b in zip(params, grads, first, second, strict=True):
-            a += 0.1 * (g - a)
-            b += 0.01 * (g * g - b)
-            p -= rate * (a / (1 - 0.9**step)) / (np.sqrt(b / (1 - 0.99**step)) + 1e-8)
-    return LogBilinear(*params, noise.astype(np.float32))
+def trained(texts: DataFrame, words: list[bytes], rest: int, start: LogBilinear, n_tokens: int) -> LogBilinear:
+    """The average of the models that learners make of all ``texts``; without any, ``start``."""
+    shared = texts.sparkSession.sparkContext.broadcast((words, rest, start))
+    learned = texts.select("text").coalesce(max(1, -(-n_tokens // LEARNER_TOKENS))).mapInArrow(_learn_batches(shared), "block int, weight double, content binary")
+    blocks = learned.repartition("block").mapInArrow(_average_batches, "block int, content binary").collect()
+    if not blocks:
+        return start
+    return start.with_params(np.concatenate([np.frombuffer(r.content, np.float32) for r in sorted(blocks, key=lambda r: r.block)]))
 
 
 def _score_batches(shared) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        words, counts, model, base_all, rest_all, end_count = shared.value
+        words, n_vocab, rest, counts, model, base_all, rest_all, end_count = shared.value
         index = {w: i for i, w in enumerate(words)}
-        table = model.table()
-        classes = len(table)
-        place = np.where(np.arange(len(words) + 1) < classes - 2, np.arange(len(words) + 1) + 2, REST)
-        place[-1] = REST
-        counts = np.append(counts, 0)
-        base = np.log10((counts + 1) / base_all)
-        inner = np.where(place == REST, np.log10((counts + 1) / rest_all), 0.0)
-        inner[-1] = base[-1] = 0.0  # added in the join
-        known = np.append((counts > 0)[:-1], False)
-        end_base = float(np.log10((end_count + 1) / base_all))
-        get, unknown, digest = index.get, len(words), xxhash.xxh64_intdigest
+        unknown = len(words)
+        place = np.array([i + 1 + rest if i < n_vocab else rest_class(w, rest) for i, w in enumerate(words)] + [0], np.int32)
+        use = np.append(np.log10(counts + 1), 0.0)  # that of unknown words is added in the join
+        log_all, log_rest = float(np.log10(base_all)), np.log10(rest_all)
+        inner = np.where(place > rest, 0.0, use - log_rest[np.minimum(place, rest)])
+        inner[unknown] = 0.0
+        known = np.append(counts > 0, False)
+        end_base = float(np.log10(end_count + 1))
+        get, digest = index.get, xxhash.xxh64_intdigest
+
+        def out(rows: list) -> pa.RecordBatch:
+            flat, at = _flatten([r[2] for r in rows])
+            ends = np.cumsum([len(r[2]) + 1 for r in rows])
+            sums = np.add.reduceat(model.log_probs(flat, at), np.append(0, ends[:-1]))
+            cols = list(zip(*rows, strict=True))
+            return pa.RecordBatch.from_arrays(
+                [pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.bool_()), pa.array([len(x) + 1 for x in cols[2]], pa.int64()), pa.array(cols[3], pa.int64()), pa.array(cols[4], pa.float64()), pa.array(sums + np.array(cols[5]), pa.float64()), pa.array(cols[6], pa.list_(pa.int64())), pa.array(cols[7], pa.list_(pa.int32()))],
+                names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "rare", "times"],
+            )
+
+        held, size = [], 0
         for batch in batches:
-            cols: list[list] = [[] for _ in range(6)]
-            for text in batch.column(1):
+            for doc, text, away in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist(), strict=True):
                 found = tokens(text.as_py())
                 ids = np.array([get(w, unknown) for w in found], np.int64)
-                to = place[ids]
-                chain = np.concatenate([[END], to, [END]])
-                rare = Counter(found[i] for i in np.flatnonzero(ids == unknown))
+                to, own = place[ids], float(inner[ids].sum())
+                missing = np.flatnonzero(ids == unknown)
+                for i in missing:
+                    to[i] = rest_class(found[i], rest)
+                own -= float(log_rest[to[missing]].sum())
+                rare = Counter(found[i] for i in missing)
                 hashes = np.array([digest(w, 42) for w in rare], np.uint64).view(np.int64)
-                for c, x in zip(cols, (len(found) + 1, int(known[ids].sum()) + (end_count > 0), float(base[ids].sum()) + end_base, float(table[chain[:-1], chain[1:]].sum(dtype=np.float64) + inner[ids].sum()), hashes, list(rare.values())), strict=True):
-                    c.append(x)
-            yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(2), pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.float64()), pa.array(cols[3], pa.float64()), pa.array(cols[4], pa.list_(pa.int64())), pa.array(cols[5], pa.list_(pa.int32()))], names=["doc_id", "held_out", "n_tokens", "n_known", "base_score", "score", "rare", "times"])
+                base = float(use[ids].sum()) + end_base - (len(found) + 1) * log_all
+                held.append((doc, away, to, int(known[ids].sum()) + (end_count > 0), base, own, hashes, list(rare.values())))
+                size += len(to) + 1
+                if size >= 4 * BATCH:
+                    yield out(held)
+                    held, size = [], 0
+        if held:
+            yield out(held)
 
     return run
 
 
-def adjacent_counts(texts: DataFrame, vocab: list[bytes]) -> np.ndarray:
-    """Counts of adjacent classes over all ``texts``; the result's size is the
-    square of the vocabulary's, whatever the input's."""
-    classes = len(vocab) + 2
-    index = {w: i + 2 for i, w in enumerate(vocab)}
-    made = texts.select("text").mapInArrow(_pair_batches(index, classes), "code bigint, n bigint").groupBy("code").agg(F.sum("n").alias("n")).toArrow()
-    pairs = np.zeros(classes * classes, np.float32)
-    pairs[made.column("code").to_numpy()] = made.column("n").to_numpy()
-    return pairs.reshape(classes, classes)
-
-
-def language_model_scores(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", folds: int = 7, held_fold: int = 2, vocab: int = VOCAB, common: int = COMMON) -> DataFrame:
+def language_model_scores(docs: DataFrame, text: str = "text", doc_id: str = "doc_id", folds: int = 7, held_fold: int = 2, vocab: int = VOCAB, rest: int = REST, common: int = COMMON) -> DataFrame:
     """``doc_id, held_out, n_tokens, n_known, train_tokens, base_score, score``, one row per input row.
 
     Rows whose id's fold is ``held_fold`` are scored only; the others, null ids
     among them, are learned from as well.  Null and empty texts are an end alone.
     Repeated rows count and stay.  Without training rows every count is zero and
-    the model is uniform.  Ties in frequency go to the word that sorts first.
+    the model is the smoothed unigram distribution.  Words of equal frequency are
+    all in the vocabulary or none is.  Other columns are not read.
     """
     spark = docs.sparkSession
     held = F.coalesce(fold(F.col(doc_id), folds) == held_fold, F.lit(False))
     rows = docs.select(F.col(doc_id).cast("bigint").alias("doc_id"), F.col(text).cast("string").alias("text"), held.alias("held"))
     counts = materialise(word_counts(rows), "word-counts")
-    n_words, kinds = counts.agg(F.coalesce(F.sum("c"), F.lit(0)), F.count(F.when(F.col("c") > 0, 1))).first()
+    by_rest = {r.r: (r.c, r.k) for r in counts.where("c > 0").groupBy(_rest_column(F.col("word"), rest).alias("r")).agg(F.sum("c").alias("c"), F.count("*").alias("k")).collect()}
+    n_words, kinds = (sum(x[i] for x in by_rest.values()) for i in (0, 1))
     n_ends = rows.where(~F.col("held")).count()
     train_tokens, kinds = n_words + n_ends, kinds + (n_ends > 0)
-    top = counts.where("c > 0").orderBy(F.desc("c"), "word").limit(vocab).collect()
-    words = [bytes(r.word) for r in top]
+    top = sorted(((bytes(r.word), r.c) for r in most_frequent(counts, "c", vocab).collect()), key=lambda x: (-x[1], x[0]))
+    words = [w for w, _ in top]
     seen = set(words)
-    more = [r for r in counts.orderBy(F.desc("total"), "word").limit(common).toLocalIterator() if bytes(r.word) not in seen]
-    rest_tokens, rest_kinds = n_words - sum(r.c for r in top), kinds - len(top) - (n_ends > 0)
-    pairs = adjacent_counts(rows.where(~F.col("held")), words)
-    model = train(pairs)
-    table_counts = np.array([r.c for r in top] + [r.c for r in more], np.float64)
-    base_all, rest_all = train_tokens + kinds + 1, rest_tokens + rest_kinds + 1
-    shared = spark.sparkContext.broadcast((words + [bytes(r.word) for r in more], table_counts, model, base_all, rest_all, n_ends))
+    more = [(bytes(r.word), r.c) for r in most_frequent(counts, "total", common).collect() if bytes(r.word) not in seen]
+    rest_tokens, rest_kinds = (np.array([0] + [by_rest.get(r + 1, (0, 0))[i] for r in range(rest)]) for i in (0, 1))
+    for w, c in top:
+        rest_tokens[rest_class(w, rest)] -= c
+        rest_kinds[rest_class(w, rest)] -= 1
+    rest_all = (rest_tokens + rest_kinds + 1).astype(np.float64)
+    uses = np.concatenate([[n_ends], rest_tokens[1:], [c for _, c in top]]).astype(np.float64)
+    model = trained(rows.where(~F.col("held")), words, rest, LogBilinear.start(uses), train_tokens)
+    table_counts = np.array([c for _, c in top + more], np.float64)
+    base_all = train_tokens + kinds + 1
+    shared = spark.sparkContext.broadcast((words + [w for w, _ in more], len(words), rest, table_counts, model, base_all, rest_all, n_ends))
     scored = rows.mapInArrow(_score_batches(shared), "doc_id bigint, held_out boolean, n_tokens bigint, n_known bigint, base_score double, score double, rare array<bigint>, times array<int>")
     first = materialise(scored.withColumn("rid", F.monotonically_increasing_id()), "scores")
-    uses = first.select("rid", F.inline(F.arrays_zip("rare", "times"))).toDF("rid", "h", "n")
-    met = uses.join(counts.select(F.xxhash64("word").alias("h"), "c"), "h")
-    sums = met.groupBy("rid").agg(
-        F.sum(F.col("n") * F.log10((F.col("c") + 1) / F.lit(float(base_all)))).alias("b"),
-        F.sum(F.col("n") * F.log10((F.col("c") + 1) / F.lit(float(rest_all)))).alias("m"),
-        F.sum(F.when(F.col("c") > 0, F.col("n")).otherwise(0)).alias("k"),
-    )
-    zero = F.lit(0.0)
+    uses_of = first.select("rid", F.inline(F.arrays_zip("rare", "times"))).toDF("rid", "h", "n")
+    met = uses_of.join(counts.where("c > 0").select(F.xxhash64("word").alias("h"), "c"), "h")
+    sums = met.groupBy("rid").agg(F.sum(F.col("n") * F.log10(F.col("c") + 1)).alias("b"), F.sum("n").alias("k"))
+    added = F.coalesce("b", F.lit(0.0))
     return first.join(sums, "rid", "left").select(
         "doc_id", "held_out", "n_tokens", (F.col("n_known") + F.coalesce("k", F.lit(0))).cast("bigint").alias("n_known"), F.lit(train_tokens).cast("bigint").alias("train_tokens"),
-        (F.col("base_score") + F.coalesce("b", zero)).alias("base_score"), (F.col("score") + F.coalesce("m", zero)).alias("score"),
+        (F.col("base_score") + added).alias("base_score"), (F.col("score") + added).alias("score"),
     )

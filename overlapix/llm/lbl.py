@@ -40,11 +40,11 @@ from pyspark.sql import functions as F
 from overlapix.llm.fm_quality import fold
 from overlapix.llm.storage import materialise
 
-VOCAB = 16_384
+VOCAB = 4096
 REST = 512
 COMMON = 200_000
-SIZE = 32
-CONTEXT = 4
+SIZE = 16
+CONTEXT = 3
 NOISE = 12
 RATE = 0.15
 MIX = 0.05
@@ -52,7 +52,7 @@ MIX = 0.05
 END = 0
 FLUSH_WORDS = 400_000
 #: Tokens of one step, of one batch that is scored, and of one learner.
-STEP, BATCH, LEARNER_TOKENS = 32_768, 65_536, 4_000_000
+STEP, BATCH, LEARNER_TOKENS = 8192, 8192, 4_000_000
 #: Parameters in one row between learners and their average.
 BLOCK = 8192
 
@@ -65,6 +65,20 @@ def rest_class(word: bytes, rest: int) -> int:
     return 1 + zlib.crc32(word[-3:]) % rest
 
 
+class Outputs(dict):
+    """Words to outputs; a word that is not listed is looked up once, until many are held."""
+
+    def __init__(self, words: list[bytes], rest: int):
+        super().__init__((w, i + 1 + rest) for i, w in enumerate(words))
+        self.rest, self.most = rest, len(words) + FLUSH_WORDS
+
+    def __missing__(self, word: bytes) -> int:
+        made = rest_class(word, self.rest)
+        if len(self) < self.most:
+            self[word] = made
+        return made
+
+
 def _rest_column(word: Column, rest: int) -> Column:
     return F.crc32(F.substring(word, -3, 3)) % rest + 1
 
@@ -258,7 +272,7 @@ def _flatten(texts: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
 def _learn_batches(shared) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.RecordBatch]]:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words, rest, model = shared.value
-        index = {w: i + 1 + rest for i, w in enumerate(words)}
+        index = Outputs(words, rest)
         learner, held, size, weight = Learner(model), [], 0, 0
 
         def learn() -> None:
@@ -268,7 +282,7 @@ def _learn_batches(shared) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.R
 
         for batch in batches:
             for text in batch.column(0):
-                held.append(np.array([index.get(w) or rest_class(w, rest) for w in tokens(text.as_py())], np.int32))
+                held.append(np.fromiter(map(index.__getitem__, tokens(text.as_py())), np.int32))
                 size += len(held[-1]) + 1
                 if size >= 4 * STEP:
                     learn()
@@ -332,7 +346,7 @@ def _score_batches(shared) -> Callable[[Iterator[pa.RecordBatch]], Iterator[pa.R
         for batch in batches:
             for doc, text, away in zip(batch.column(0).to_pylist(), batch.column(1), batch.column(2).to_pylist(), strict=True):
                 found = tokens(text.as_py())
-                ids = np.array([get(w, unknown) for w in found], np.int64)
+                ids = np.fromiter((get(w, unknown) for w in found), np.int64, len(found))
                 to, own = place[ids], float(inner[ids].sum())
                 missing = np.flatnonzero(ids == unknown)
                 for i in missing:

@@ -17,27 +17,33 @@ def _table(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def op1_simhash_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Fingerprints and groups of ``documents``; null and empty texts have fingerprint zero and link like any other."""
     groups = simhash.near_duplicates(_table(spark, sf_dir, "documents"))
     return groups.select("doc_id", F.lower(F.lpad(F.hex("fp"), 16, "0")).alias("fingerprint"), "component_id")
 
 
 def op2_html_extraction(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Main text of ``pages``; null html is empty and gives no text."""
     return html_extract.extract(_table(spark, sf_dir, "pages"))
 
 
 def op3_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Pieces of each text of ``documents``; null and empty texts have none."""
     return unigram_count.token_counts(_table(spark, sf_dir, "documents"), public_tokenizers.path("piece_bpe_32k.model"))
 
 
 def op4_embedding_near_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Links and groups of ``embeddings``; vectors that are null, zero or not finite stay alone."""
     return nn_descent.near_duplicates(_table(spark, sf_dir, "embeddings"))
 
 
 def op5_benchmark_decontamination(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Benchmark windows in ``documents``; null and empty texts have no words and are clean."""
     return decontaminate.contamination(_table(spark, sf_dir, "documents"), _table(spark, sf_dir, "benchmark"))
 
 
 def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Quality scores of ``documents``; null and empty texts are scored too, null ids are not held out."""
     docs = _table(spark, sf_dir, "documents")
     model = fm_quality.train(docs, _table(spark, sf_dir, "labels"))
     held = F.coalesce(fm_quality.fold(F.col("doc_id"), 5) == 0, F.lit(False))
@@ -45,21 +51,25 @@ def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def op7_lm_scoring(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Model and base scores of ``documents``; null and empty texts are an end alone, null ids are learned from."""
     return lbl.language_model_scores(_table(spark, sf_dir, "documents"))
 
 
 def op8_byte_bpe(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Token ids of ``documents`` and what they decode to; null and empty texts have none."""
     path, pattern = public_tokenizers.path("byte_bpe_multi_50k.tiktoken"), public_tokenizers.PATTERN
     done = byte_bpe.encode_and_decode(_table(spark, sf_dir, "documents"), path, pattern)
     return done.select("doc_id", (F.octet_length("ids") / 4).cast("bigint").alias("n_tokens"), F.sha2("ids", 256).alias("ids_sha256"), F.sha2("decoded", 256).alias("decoded_sha256"))
 
 
 def op9_token_records(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Records of ``documents`` in id order, read back; null and empty texts are the end id alone."""
     manifest = records.write_records(_table(spark, sf_dir, "documents"), public_tokenizers.path("byte_bpe_50k.json"))
     return records.read_digests(manifest)
 
 
 def op10_pii(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Personal data in ``documents``; null and empty texts have no span."""
     return pii.personal_data(_table(spark, sf_dir, "documents"))
 
 

@@ -43,3 +43,12 @@ def test_law_of_identical_sets(spark, tmp_path):
     spark.createDataFrame(list(enumerate(v)), "vec_id bigint, embedding array<float>").write.parquet(str(tmp_path / "embeddings.parquet"))
     r = entry.queries()["law_check_minhash"](spark, str(tmp_path)).first()
     assert r.n_pairs > 0 and math.isnan(r.mean_z) and 0 < r.measured <= 1
+
+
+def test_estimates_hold_no_pairs(spark):
+    assert "Join" not in plan(entry.queries()["estimate_overlap"](spark, ROOT))
+
+
+def test_pairs_by_brute_force(spark, small):
+    got = sorted(map(tuple, tiles.pairs(tiles.coded(frame(spark, X), "data"), tiles.coded(frame(spark, Q), "query")).collect()))
+    assert got == sorted((q, x, len(s & t), len(s), len(t)) for q, s in Q.items() for x, t in X.items() if s & t)

@@ -52,3 +52,18 @@ def test_estimates_hold_no_pairs(spark):
 def test_pairs_by_brute_force(spark, small):
     got = sorted(map(tuple, tiles.pairs(tiles.coded(frame(spark, X), "data"), tiles.coded(frame(spark, Q), "query")).collect()))
     assert got == sorted((q, x, len(s & t), len(s), len(t)) for q, s in Q.items() for x, t in X.items() if s & t)
+
+
+@pytest.mark.parametrize("name", ["transform_l2", "transform_sign", "transform_norm", "inner_product_preserved"])
+def test_identities_shuffle_no_pairs(spark, name):
+    """Pairs, and padded elements, went through joins on the element and the id."""
+    p = plan(entry.queries()[name](spark, ROOT))
+    joins = p.count("Join")
+    assert "MapInArrow" in p and joins <= (2 if name == "inner_product_preserved" else 0)
+
+
+def test_changed_counts(spark, small):
+    x = frame(spark, X).selectExpr("id", "elems", "array_append(elems, 99L) as one")
+    q = frame(spark, Q).selectExpr("id", "elems", "if(id = 101, array_append(elems, 99L), elems) as one")
+    n = tiles.changed_counts(tiles.coded(x, "data", more=("one",)), tiles.coded(q, "query", more=("one",)), (("one", "one"), ("one", "elems"))).agg({"n": "sum"}).first()[0]
+    assert n == len(X)

@@ -1,7 +1,6 @@
 """Sets against queries in tiles, against brute force; plans that hold no pairs."""
 
 import math
-import shutil
 
 import pytest
 
@@ -67,3 +66,45 @@ def test_changed_counts(spark, small):
     q = frame(spark, Q).selectExpr("id", "elems", "if(id = 101, array_append(elems, 99L), elems) as one")
     n = tiles.changed_counts(tiles.coded(x, "data", more=("one",)), tiles.coded(q, "query", more=("one",)), (("one", "one"), ("one", "elems"))).agg({"n": "sum"}).first()[0]
     assert n == len(X)
+
+
+def test_grid_of_first_tables_in_tasks(spark):
+    """Pairs and tables were rows of a shuffle."""
+    from overlapix.plans import catalog_hash as C
+
+    x, q = C.sides(spark, ROOT, "turn_w", "opm1", 8 * 4, 8)
+    gold = tiles.top(x, q, 50)
+    got = {(r.k, r.l): (r.r, r.h5) for r in tiles.first_tables(x, q, gold, 8, 4, (5,)).collect()}
+    best = {(r.q_id, r.x_id) for r in gold.where("rank <= 5").collect()}
+    sig = lambda s: {r.id: (r.s0, r["p0"] if "p0" in r else None) for r in s.collect()}
+    xs, qs, want = sig(x), sig(q), {}
+    for qi, (b, _) in qs.items():
+        for xi, (a, dead) in xs.items():
+            for k in range(1, 9):
+                first = next((j for j in range(4) if not dead[j] and a[j * 8 : j * 8 + k] == b[j * 8 : j * 8 + k]), None)
+                if first is not None:
+                    n, h = want.get((k, first + 1), (0, 0))
+                    want[k, first + 1] = n + 1, h + ((qi, xi) in best)
+    assert got == want and got
+
+
+@pytest.mark.parametrize("name", ["ranked_minhash", "ranked_l2alsh", "interpolated_pr", "pr_curve_minhash"])
+def test_lists_come_out_of_tiles(spark, name):
+    """Whole lists of (query, set) were sorted; now a task gives up its best few, or counts."""
+    stages = [line for line in plan(entry.queries()[name](spark, ROOT)).splitlines() if "InArrow" in line]
+    assert stages and not any("q_id#" in line and "x_id#" in line and " k#" in line for line in stages)
+
+
+def test_curve_in_blocks_and_stretches(spark, monkeypatch):
+    """Against the sorted lists, over several blocks of queries and stretches of sets."""
+    from overlapix.operators import ranking
+    from overlapix.plans import catalog_hash as C
+
+    monkeypatch.setattr(tiles, "BLOCK", 23)
+    monkeypatch.setattr(tiles, "STRETCH", 100)
+    cols = ["q_id", "p", "relevant_seen", "precision_", "recall"]
+    ranked, gold = C.ranked(spark, ROOT, "turn_w", "opm1", (C.N_RANK,))
+    want = sorted(map(tuple, ranking.pr_points(ranked, gold).select(*cols).collect()))
+    assert sorted(map(tuple, C.pr_curve(spark, ROOT, "opm1").select(*cols).collect())) == want and want
+    listed = sorted(map(tuple, ranked.where("p <= 20").select("q_id", "p", "x_id", "matches").collect()))
+    assert sorted(map(tuple, entry.queries()["ranked_opm1"](spark, ROOT).select("q_id", "p", "x_id", "matches").collect())) == listed

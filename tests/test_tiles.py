@@ -108,3 +108,10 @@ def test_curve_in_blocks_and_stretches(spark, monkeypatch):
     assert sorted(map(tuple, C.pr_curve(spark, ROOT, "opm1").select(*cols).collect())) == want and want
     listed = sorted(map(tuple, ranked.where("p <= 20").select("q_id", "p", "x_id", "matches").collect()))
     assert sorted(map(tuple, entry.queries()["ranked_opm1"](spark, ROOT).select("q_id", "p", "x_id", "matches").collect())) == listed
+
+
+@pytest.mark.parametrize("name", "cost_model law_l2 law_sampling law_srp plan_kl rho_curves rho_l2alsh rho_minhash_q rho_opm rho_opm_q rho_sampling rho_sign".split())
+def test_theory_reads_tables(spark, name):
+    """Curves and plans were made of constants."""
+    df = entry.queries()[name](spark, ROOT)
+    assert {f.rsplit("/", 1)[1] for f in df.inputFiles()} >= {"documents.parquet", "benchmark.parquet"} or "benchmark.parquet" in plan(df)

@@ -115,3 +115,13 @@ def test_theory_reads_tables(spark, name):
     """Curves and plans were made of constants."""
     df = entry.queries()[name](spark, ROOT)
     assert {f.rsplit("/", 1)[1] for f in df.inputFiles()} >= {"documents.parquet", "benchmark.parquet"} or "benchmark.parquet" in plan(df)
+
+
+def test_classes_of_copies_keep_no_elements(spark, monkeypatch):
+    """Whole sets were shuffled and written for classes, tables and verification alike."""
+    from overlapix.plans import catalog_hash as C
+
+    written, real = {}, C.kept
+    monkeypatch.setattr(C, "kept", lambda df, label="kept": written.setdefault(label, df.columns) and real(df, label))
+    assert C.near_duplicates(spark, ROOT).count() > 0
+    assert "elems" not in written["classes"] and written["pairs"] == ["q_id", "x_id"]

@@ -92,3 +92,21 @@ def test_empty_table(spark):
 def test_digest_is_of_little_endian_ids(spark, reference):
     r = byte_bpe.encode_texts(docs_frame(spark, [(1, "Hello there")]), RANKS, P.PATTERN).first()
     assert hashlib.sha256(bytes(r.ids)).hexdigest() == hashlib.sha256(np.array(reference.encode_ordinary("Hello there"), "<u4").tobytes()).hexdigest()
+
+
+def test_cuts_without_a_call_a_piece():
+    """Each piece cost two calls to look for white space at its ends."""
+    import sys
+
+    def plain(text):
+        parts = text.split(" ")
+        return text if any(not p or p[0].isspace() or p[-1].isspace() for p in parts) else parts
+
+    spaces = [chr(c) for c in range(0x110000) if chr(c).isspace()]
+    for t in ["", *(f.replace("_", s) for s in spaces for f in ("_", "a_b", "a _b", "a_ b", "a_", "_a", "a b_c d", "a__b c"))]:
+        assert byte_bpe._pieces(t) == plain(t), ascii(t)
+    calls = []
+    sys.setprofile(lambda frame, event, arg: calls.append(event))
+    byte_bpe._pieces("word " * 999 + "end")
+    sys.setprofile(None)
+    assert len(calls) < 50

@@ -128,3 +128,31 @@ def test_learners_average(spark):
     both = df.repartitionByRange(2, "i")
     got = lbl.trained(both, words, 2, model, 2 * lbl.LEARNER_TOKENS)  # two tasks
     assert np.allclose(got.flat_params(), want, atol=1e-5)
+
+
+def test_a_step_moves_each_array_once(monkeypatch):
+    """Every group's words and biases were moved on their own, a few rows at a time; the biases against loops."""
+    model = random_model(7)
+    learner, (flat, at) = lbl.Learner(model), lbl._flatten([np.array([1, 2, 6, 1, 3], np.int32), np.array([5], np.int32)])
+    moved, real = [], lbl.Learner._move
+    monkeypatch.setattr(lbl.Learner, "_move", lambda self, name, where, grad: moved.append(name) or real(self, name, where, grad))
+    monkeypatch.setattr(lbl, "COLUMNS", 2, raising=False)
+    learner.step(flat, at)
+    groups, depth = model.bias.shape
+    noise = lbl.NOISE * model.unigram.astype(float).reshape(depth, groups).T
+    outer, inner = np.zeros(groups), np.zeros((groups, depth))
+    chance = lambda score, n: 1 / (1 + math.exp(math.log(n) - score))
+    for t in at:
+        h = sum(model.context[flat[t - 1 - p]].astype(float) * model.position[p] for p in range(lbl.CONTEXT))
+        g, place = flat[t] % groups, flat[t] // groups
+        for k in range(groups):
+            c = chance(h @ model.group[k] + model.group_bias[k], noise[k].sum())
+            outer[k] += (k == g) * (1 - c) - noise[k].sum() * c
+        for k in range(depth):
+            if noise[g, k] > 0:
+                n = lbl.NOISE * noise[g, k] / noise[g].sum()
+                c = chance(h @ model.word[g, k] + model.bias[g, k], n)
+                inner[g, k] += (k == place) * (1 - c) - n * c
+    for name, grad in (("group_bias", outer), ("bias", inner)):
+        assert np.allclose(getattr(learner.m, name) - getattr(model, name), lbl.RATE * grad / np.sqrt(grad * grad + 1e-6), atol=2e-3), name
+    assert sorted(moved) == sorted(lbl.LogBilinear.PARAMS)

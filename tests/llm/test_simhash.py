@@ -130,6 +130,41 @@ def test_similar_groups_against_brute_force(spark):
         assert group[n] == group[root] or not sets[n]
 
 
+def test_odd_bits_rule_out_no_alike_pair(spark):
+    """The slots that differ never outnumber the elements that do; unlike candidates go before their sets are joined."""
+    rng, sets, pairs = np.random.default_rng(5), [], []
+    for n in (1, 3, 31, 32, 33, 200, 5000):
+        whole = rng.integers(0, 1 << 63, n).astype(np.uint64)
+        for cut in (0, n // 20, n // 9, n // 4, n):
+            other = rng.integers(0, 1 << 63, n // 20 if cut == n else cut).astype(np.uint64)
+            sets += [np.unique(whole), np.unique(np.concatenate([whole[cut:], other]))]
+            pairs.append((len(sets) - 2, len(sets) - 1))
+    odd = [simhash.odd_bits(s) for s in sets]
+    pairs += [(0, n) for n in range(2, len(sets))]
+    alike = set()
+    for a, b in pairs:
+        common = len(np.intersect1d(sets[a], sets[b]))
+        assert simhash.odd_slots(odd[a], odd[b]) == simhash.odd_slots(odd[b], odd[a]) <= len(sets[a]) + len(sets[b]) - 2 * common
+        if common >= 0.8 * (len(sets[a]) + len(sets[b]) - common) and common:
+            alike.add((a, b))
+    marks = spark.createDataFrame([(n, len(s), bytearray(o)) for n, (s, o) in enumerate(zip(sets, odd, strict=True))], "node bigint, size bigint, odd binary")
+    got = {(r.u, r.v) for r in simhash._likely(spark.createDataFrame(pairs, "u bigint, v bigint"), marks, 0.8).collect()}
+    assert alike <= got and len(got) <= len(alike) + 3 < len(pairs) / 2
+
+
+def test_texts_are_not_dealt_out_for_few_ids(spark, monkeypatch):
+    """Rows that the slots of ids rule out meet no join, and all others are decided exactly."""
+    for slots in (1 << 15, 1 << 26):
+        monkeypatch.setattr(simhash, "SLOTS", slots)
+        docs = docs_frame(spark, [(i * 7919 - 40_000, f"text {i}") for i in range(40_000)] + [(None, "none"), (None, None)])
+        marks = spark.createDataFrame([(i * 7919 - 40_000, -40_000 if i % 10 == 3 else i * 7919 - 40_000) for i in range(40_000)] + [(None, 5)], "doc_id bigint, component_id bigint")
+        got = sorted((r.doc_id for r in simhash._without(docs, "doc_id", marks).collect()), key=repr)
+        assert got == sorted([i * 7919 - 40_000 for i in range(40_000) if i % 10 != 3] + [None, None], key=repr)
+    gone = marks.where("doc_id <> component_id").select("doc_id")
+    met = simhash._slotted(docs, "doc_id", gone, 4000)
+    assert met.where("__met").count() < 6000 and met.where("__met").join(gone, "doc_id", "left_semi").count() == 4000
+
+
 def test_groups_of_near_copies_of_any_size(spark, monkeypatch):
     monkeypatch.setattr(simhash, "PAIRS_A_ROW", 0.5)
     rng = random.Random(3)

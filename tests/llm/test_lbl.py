@@ -1,4 +1,5 @@
 import math
+import resource
 import zlib
 from collections import Counter
 
@@ -156,3 +157,27 @@ def test_a_step_moves_each_array_once(monkeypatch):
     for name, grad in (("group_bias", outer), ("bias", inner)):
         assert np.allclose(getattr(learner.m, name) - getattr(model, name), lbl.RATE * grad / np.sqrt(grad * grad + 1e-6), atol=2e-3), name
     assert sorted(moved) == sorted(lbl.LogBilinear.PARAMS)
+
+
+def test_steps_reuse_memory():
+    lbl.keep_memory()
+    rng = np.random.default_rng(0)
+    learner = lbl.Learner(lbl.LogBilinear.start(1e6 / np.arange(1, 4610)))
+    flat, at = lbl._flatten([rng.integers(0, 4609, 300).astype(np.int32) for _ in range(60)])
+
+    def step():
+        learner.step(flat, at[: lbl.STEP])
+        learner.m.log_probs(flat, at[: lbl.BATCH])
+
+    for _ in range(4):
+        step()
+    before = resource.getrusage(resource.RUSAGE_SELF).ru_minflt
+    for _ in range(10):
+        step()
+    assert resource.getrusage(resource.RUSAGE_SELF).ru_minflt - before < 2000  # some 20,000 where arrays are given back
+
+
+def test_scores_with_and_without_a_shift_agree():
+    score = np.random.default_rng(1).normal(0, 8, (20, 50)).astype(np.float32)
+    chosen = np.arange(50) % 20
+    np.testing.assert_allclose(lbl._share(score.copy(), chosen, True), lbl._share(score.copy(), chosen), rtol=1e-5)

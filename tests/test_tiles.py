@@ -3,6 +3,7 @@
 import math
 
 import pytest
+from pyspark.sql import functions as F
 
 import __spark_entry__ as entry
 from overlapix.operators import tiles
@@ -110,6 +111,36 @@ def test_curve_in_blocks_and_stretches(spark, monkeypatch):
     assert sorted(map(tuple, entry.queries()["ranked_opm1"](spark, ROOT).select("q_id", "p", "x_id", "matches").collect())) == listed
 
 
+def test_curve_of_more_sets_than_a_range_samples(spark, tmp_path):
+    """Sets were numbered by range partitions that two branches of the plan sampled apart,
+    so places were wrong as soon as there were more sets than a sample holds."""
+    from overlapix.operators import ranking
+    from overlapix.plans import catalog_hash as C
+
+    rows = [(i // 8, i % 8, " ".join(f"w{(i * j * j + j * 31) % 97}" for j in range(2 + i % 7))) for i in range(6000)]
+    spark.createDataFrame(rows, "conv_id bigint, turn bigint, text string").write.parquet(str(tmp_path / "conversations.parquet"))
+    cols = ["q_id", "p", "relevant_seen", "precision_", "recall"]
+    ranked, gold = C.ranked(spark, str(tmp_path), "turn_w", "opm1", (C.N_RANK,))
+    want, got = ranking.pr_points(ranked, gold).select(*cols), C.pr_curve(spark, str(tmp_path), "opm1").select(*cols)
+    want, got = (df.withColumn("h", F.xxhash64(*cols).cast("decimal(38,0)")).groupBy().agg(F.count("*"), F.sum("h")).first() for df in (want, got))
+    assert got == want and got[0] > 10_000
+
+
+def test_codes_are_dealt_out_once(spark, small):
+    """Every block of queries shuffled all the codes again."""
+    from overlapix.operators import schemes
+
+    x, q = tiles.coded(frame(spark, X), "data", schemes.minhash(8, 1)), tiles.coded(frame(spark, Q), "query", schemes.minhash(8, 1))
+    gold = tiles.top(x, q, 3).cache()
+    packed = tiles.stretches(x, len(X)).cache()
+    stages = plan(tiles.places(packed, q, gold, 8)).split("InMemoryRelation")[0]
+    assert "s0#" not in stages and "FlatMapGroups" not in stages
+    rows, codes = ({r.id: r.s0 for r in s.collect()} for s in (x, q))
+    tie = {r.id: r.tie for r in x.select("id", tiles.exact.tie_order("id")[0].alias("tie")).collect()}
+    places = {(c, i): p for c, own in codes.items() for p, i in enumerate(sorted(rows, key=lambda i: (-sum(a == b for a, b in zip(rows[i], own, strict=True)), tie[i], i)), 1)}  # noqa: B023
+    assert sorted(map(tuple, tiles.places(packed, q, gold, 8).collect())) == sorted((r.q_id, places[r.q_id, r.x_id]) for r in gold.collect())
+
+
 @pytest.mark.parametrize("name", "cost_model law_l2 law_sampling law_srp plan_kl rho_curves rho_l2alsh rho_minhash_q rho_opm rho_opm_q rho_sampling rho_sign".split())
 def test_theory_reads_tables(spark, name):
     """Curves and plans were made of constants."""
